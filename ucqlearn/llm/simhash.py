@@ -12,7 +12,7 @@ from itertools import combinations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, ascii_lower, space_words
+from .common import Workspace, ascii_lower, few_files, row_count, space_words
 
 LANE = 21
 LANE_MASK = 1 | 1 << LANE | 1 << 2 * LANE
@@ -133,18 +133,19 @@ def fingerprint_report(spark, docs: DataFrame, width: int = 5, radius: int = 3,
     with one doc_id the smallest text is used. An empty table gives an empty result. Other columns are ignored.
     """
     work = Workspace(spark, "simhash")
-    both = work.put(edited_texts(_one_text(docs)), "edited")
-    versions = both.select("doc_id", F.explode(F.array(F.struct(F.lit(0).alias("v"), F.col("text").alias("t")), F.struct(F.lit(1).alias("v"), F.col("edited").alias("t")))).alias("e")).select("doc_id", "e.v", "e.t")
-    votes = fingerprints(versions, ["doc_id", "v"], "t", width)
-    prints = work.put(votes.groupBy("doc_id").agg(F.max(F.when(F.col("v") == 0, F.col("fp"))).alias("fp"), F.max(F.when(F.col("v") == 1, F.col("fp"))).alias("fp_edited")), "prints")
+    rows = row_count(docs)
+    facts = ["doc_id", "next_id", "n_chars", "edited_sha256"]
+    both = edited_texts(_one_text(docs)).select("doc_id", "next_id", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), F.explode(F.map_from_arrays(F.array(F.lit(0), F.lit(1)), F.array("text", "edited"))).alias("v", "t"))
+    votes = fingerprints(both, [*facts, "v"], "t", width)
+    pick = lambda v: F.max(F.when(F.col("v") == v, F.col("fp")))
+    prints = work.put(votes.groupBy(*facts).agg(pick(0).alias("fp"), pick(1).alias("fp_edited")), "prints", rows)
     classes = prints.groupBy("fp").agg(F.count(F.lit(1)).alias("size"))
     pairs = within_radius(classes.select("fp"), radius, blocks)
     sides = pairs.select(F.explode(F.array(F.struct(F.col("a").alias("fp"), F.col("b").alias("other")), F.struct(F.col("b").alias("fp"), F.col("a").alias("other")))).alias("e")).select("e.fp", "e.other")
     others = sides.join(classes.select(F.col("fp").alias("other"), "size"), "other").groupBy("fp").agg(F.sum("size").alias("others"))
     near = classes.join(others, "fp", "left").select("fp", (F.col("size") - 1 + F.coalesce("others", F.lit(0))).alias("n_near"))
-    facts = both.select("doc_id", "next_id", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"))
-    joined = facts.join(prints, "doc_id").join(prints.select(F.col("doc_id").alias("next_id"), F.col("fp").alias("fp_next")), "next_id").join(near, "fp")
-    return joined.select(
+    joined = prints.join(prints.select(F.col("doc_id").alias("next_id"), F.col("fp").alias("fp_next")), "next_id").join(near, "fp")
+    report = joined.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
@@ -154,6 +155,7 @@ def fingerprint_report(spark, docs: DataFrame, width: int = 5, radius: int = 3,
         likeness(F.col("fp"), F.col("fp_next")).alias("near_next"),
         "n_near",
     )
+    return few_files(report, rows)
 
 
 def _one_text(docs: DataFrame) -> DataFrame:
