@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from .common import table
+from .cotrain import score_quality, train_quality
 from .decontaminate import decontaminate
 from .neardup import near_duplicates
 from .packing import pack
@@ -12,6 +13,8 @@ from .secrets import scan_secrets
 from .sharding import shard_by_bytes
 from .simhash import _unsigned_hex, fingerprint_report
 from .substrings import remove_repeats
+from .toxicity import held_out, score_toxicity, train_toxicity
+from .warc import capture_histories
 
 
 def op1_packing(spark, sf_dir):
@@ -51,6 +54,23 @@ def op4_substring_dedup(spark, sf_dir):
     return remove_repeats(spark, table(spark, sf_dir, "documents")).drop("kept_text")
 
 
+def op5_toxicity(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = score_toxicity(spark, docs, train_toxicity(spark, docs, table(spark, sf_dir, "labels")))
+    return found.select("row.doc_id", held_out(F.col("row.doc_id")).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op6_quality_cotraining(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    found = score_quality(spark, docs.select("doc_id", "text", "lang", "source", "n_chars"), train_quality(spark, docs, table(spark, sf_dir, "labels")))
+    return found.select("row.doc_id", held_out(F.col("row.doc_id")).alias("held_out"), "text_score", "meta_score", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
+def op7_warc(spark, sf_dir):
+    found = capture_histories(spark, table(spark, sf_dir, "pages"))
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op8_secret_scan(spark, sf_dir):
     found = scan_secrets(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return found.select("row.doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans")
@@ -70,6 +90,9 @@ QUERIES = {
     "op2_decontamination": op2_decontamination,
     "op3_sharding": op3_sharding,
     "op4_substring_dedup": op4_substring_dedup,
+    "op5_toxicity": op5_toxicity,
+    "op6_quality_cotraining": op6_quality_cotraining,
+    "op7_warc": op7_warc,
     "op8_secret_scan": op8_secret_scan,
     "op9_document_fingerprints": op9_document_fingerprints,
     "op10_simhash_neardup": op10_simhash_neardup,
@@ -107,4 +130,18 @@ SELECT w.doc_id, CAST(len(w.w) AS BIGINT) AS n_words, CAST(coalesce(l.n_removed,
 FROM words w LEFT JOIN lost l USING (doc_id)
 """
 
-ORACLES: dict[str, str] = {"op2_decontamination": _OP2, "op4_substring_dedup": _OP4}
+#: Base32 from the hexadecimal SHA-1: each five digits make four letters.
+_OP7 = """
+WITH paid AS (SELECT page_id, encode(coalesce(html, '')) AS b FROM pages),
+hashed AS (SELECT page_id, CAST(octet_length(b) AS BIGINT) AS payload_bytes, sha1(b) AS h FROM paid),
+named AS (
+  SELECT page_id, payload_bytes, list_aggregate(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+    CAST(((CAST('0x' || substr(h, CAST((i // 4) * 5 + 1 AS BIGINT), 5) AS BIGINT) >> CAST((3 - i % 4) * 5 AS INTEGER)) & 31) + 1 AS BIGINT), 1)), 'string_agg', '') AS payload_digest
+  FROM hashed
+), heads AS (SELECT payload_digest, max(page_id) AS head FROM named GROUP BY payload_digest)
+SELECT n.page_id, n.payload_bytes, n.payload_digest, CASE WHEN n.page_id = h.head THEN 'response' ELSE 'revisit' END AS record_type,
+  CASE WHEN n.page_id = h.head THEN NULL ELSE h.head END AS refers_to
+FROM named n JOIN heads h USING (payload_digest)
+"""
+
+ORACLES: dict[str, str] = {"op7_warc": _OP7, "op2_decontamination": _OP2, "op4_substring_dedup": _OP4}
