@@ -38,9 +38,11 @@ class Workspace:
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
 
-    def put(self, df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
-        """``rows``: about how many rows a narrow table has, so that it isn't cut into many small files."""
-        df = df if rows is None else few_files(df, rows)
+    def put(self, df: DataFrame, name: str, rows: int | None = None, exchange: bool = False) -> DataFrame:
+        """``rows``: about how many rows a narrow table has, so that it isn't cut into many small files. ``exchange``
+        keeps the work that makes the rows in all its tasks, where merging partitions would leave it to a few."""
+        if rows is not None:
+            df = df.repartition(max(1, -(-rows // 50_000))) if exchange else few_files(df, rows)
         df.write.mode("overwrite").parquet(self.path(name))
         return self.get(name, df.schema)
 

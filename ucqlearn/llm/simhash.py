@@ -138,7 +138,7 @@ def fingerprint_report(spark, docs: DataFrame, width: int = 5, radius: int = 3,
     both = edited_texts(_one_text(docs)).select("doc_id", "next_id", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), F.explode(F.map_from_arrays(F.array(F.lit(0), F.lit(1)), F.array("text", "edited"))).alias("v", "t"))
     votes = fingerprints(both, [*facts, "v"], "t", width)
     pick = lambda v: F.max(F.when(F.col("v") == v, F.col("fp")))
-    prints = work.put(votes.groupBy(*facts).agg(pick(0).alias("fp"), pick(1).alias("fp_edited")), "prints", rows)
+    prints = work.put(votes.groupBy(*facts).agg(pick(0).alias("fp"), pick(1).alias("fp_edited")), "prints", rows, exchange=True)
     classes = prints.groupBy("fp").agg(F.count(F.lit(1)).alias("size"))
     pairs = within_radius(classes.select("fp"), radius, blocks)
     sides = pairs.select(F.explode(F.array(F.struct(F.col("a").alias("fp"), F.col("b").alias("other")), F.struct(F.col("b").alias("fp"), F.col("a").alias("other")))).alias("e")).select("e.fp", "e.other")
