@@ -9,8 +9,12 @@ among those with room for them; a piece that fits nowhere is cut to the largest
 from __future__ import annotations
 
 import heapq
+import sys
 import zlib
+from array import array
 from dataclasses import dataclass
+from functools import lru_cache
+from itertools import chain
 
 import pyarrow as pa
 from pyspark import TaskContext
@@ -18,6 +22,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import texts
+from .rolling import grouped
+
+if sys.byteorder != "little" or array("I").itemsize != 4:
+    raise ImportError("ids are packed as native 32-bit integers, which must be little-endian")
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -32,28 +40,32 @@ class CachedTokenizer:
     The vocabulary's normaliser and splitter never look across ASCII white space, so a text's ids are those of its
     runs without it; these are remembered, up to ``most`` runs."""
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 1_000_000):
         from tokenizers import Tokenizer
 
         self.tokenizer, self.known, self.most = Tokenizer.from_file(path), {}, most
 
-    def _learn(self, runs) -> None:
-        new = [r for r in set(runs) if r not in self.known]
+    def encode_all(self, documents: list[bytes]) -> list[bytes]:
+        split = [x.split() for x in documents]
+        new = list({*chain.from_iterable(split)}.difference(self.known))
         if len(self.known) + len(new) > self.most:
-            self.known.clear()
-            new = list(set(runs))
-        for at in range(0, len(new), 2048):
-            some = new[at : at + 2048]
-            for run, got in zip(some, self.tokenizer.encode_batch([r.decode() for r in some], add_special_tokens=False)):
-                self.known[run] = b"".join(i.to_bytes(4, "little") for i in got.ids)
+            self.known = {}
+            new = list({*chain.from_iterable(split)})
+        for at in range(0, len(new), 4096):
+            some = new[at : at + 4096]
+            found = self.tokenizer.encode_batch_fast([r.decode() for r in some], add_special_tokens=False)
+            self.known.update(zip(some, [array("I", x.ids).tobytes() for x in found]))
+        get = self.known.__getitem__
+        return [b"".join(map(get, runs)) for runs in split]
 
     def encode(self, text: bytes) -> bytes:
-        runs = text.split()
-        try:
-            return b"".join(map(self.known.__getitem__, runs))
-        except KeyError:
-            self._learn(runs)
-            return b"".join(map(self.known.__getitem__, runs))
+        return self.encode_all([text])[0]
+
+
+@lru_cache(maxsize=2)
+def worker_tokenizer(path: str) -> CachedTokenizer:
+    """One for all tasks of a Python worker, so that runs once seen stay known."""
+    return CachedTokenizer(path)
 
 
 @dataclass(frozen=True)
@@ -134,7 +146,7 @@ def pack(docs: DataFrame, path: str | None = None, size: int = 2048, end_id: int
     end = end_id.to_bytes(4, "little")
 
     def run(batches):
-        tokenizer = CachedTokenizer(path)
+        tokenizer = worker_tokenizer(path)
         context = TaskContext.get()
         sequence = (context.partitionId() if context else 0) << 36
         held, rows, total = [], [], 0
@@ -157,8 +169,9 @@ def pack(docs: DataFrame, path: str | None = None, size: int = 2048, end_id: int
 
         for batch in batches:
             low = 0
-            for i, text in enumerate(texts(batch.column(0))):
-                held.append(tokenizer.encode(text) + end)
+            encoded = (ids for some in grouped(texts(batch.column(0)), len, 4 << 20) for ids in tokenizer.encode_all(some))
+            for i, ids in enumerate(encoded):
+                held.append(ids + end)
                 total += len(held[-1]) // 4
                 if total >= buffer_tokens:
                     rows.append(batch.column(1).slice(low, i + 1 - low))
