@@ -59,6 +59,7 @@ def test_cached_ids_on_odd_texts():
     t, mine = Tokenizer.from_file(tokenizer_path()), CachedTokenizer(tokenizer_path(), 50)
     rng = random.Random(1)
     odd = ["", " ", "It's I'M we'll", "a\x1cb !\x85!  x y", "é ́a É", "İSTANBUL ΟΔΟΣ ς", "<|endoftext|> a<|startoftext|>b", "x" * 5000, "日本語 text 한국어", "1234 ½ ²", "﻿a​b"]
+    odd += ["".join(rng.choice("aBzéÀÿß÷×ªµ.,!&%'3 ") for _ in range(rng.randint(1, 9))) for _ in range(3000)] + ["".join(chr(c) for c in range(33, 0x250)), " ".join(chr(c) + "." for c in range(33, 0x250))]
     odd += ["".join(rng.choice("aB 'é́\n\x1c !1Σς\t") for _ in range(60)) for _ in range(300)]
     for x in odd:
         assert mine.encode(x.encode()) == b"".join(i.to_bytes(4, "little") for i in t.encode(x, add_special_tokens=False).ids), repr(x)

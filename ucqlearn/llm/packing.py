@@ -9,12 +9,13 @@ among those with room for them; a piece that fits nowhere is cut to the largest
 from __future__ import annotations
 
 import heapq
+import re
 import sys
 import zlib
 from array import array
 from dataclasses import dataclass
 from functools import lru_cache
-from itertools import chain
+from itertools import chain, count
 
 import pyarrow as pa
 from pyspark import TaskContext
@@ -34,30 +35,64 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+# runs that the normaliser only lower-cases and the splitter cuts once: no digits, apostrophes or combining marks
+PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]*)")
+
+
+def _byte_signs() -> dict[int, str]:
+    """The sign that stands for each byte in byte-level vocabularies: itself if printable, else the next free one from 256 on."""
+    free = count(256)
+    return {b: chr(b) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b else chr(next(free)) for b in range(256)}
+
+
+BYTE_SIGNS = _byte_signs()
+
+
 class CachedTokenizer:
     """ids of whole texts as little-endian unsigned 32-bit bytes.
 
     The vocabulary's normaliser and splitter never look across ASCII white space, so a text's ids are those of its
-    runs without it; these are remembered, up to ``most`` runs."""
+    runs without it; these are remembered, up to ``most`` runs. A run of composed Latin letters with signs at its end needs
+    neither normaliser nor splitter: it is two pieces, which go to the vocabulary's model as they are."""
 
-    def __init__(self, path: str, most: int = 1_000_000):
+    def __init__(self, path: str, most: int = 800_000):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known, self.most = Tokenizer.from_file(path), {}, most
+        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        self.known: dict[bytes, bytes] = {}
+        self.parts: dict[str, bytes] = {}
 
     def encode_all(self, documents: list[bytes]) -> list[bytes]:
         split = [x.split() for x in documents]
         new = list({*chain.from_iterable(split)}.difference(self.known))
         if len(self.known) + len(new) > self.most:
-            self.known = {}
+            self.known, self.parts = {}, {}
             new = list({*chain.from_iterable(split)})
-        for at in range(0, len(new), 4096):
-            some = new[at : at + 4096]
-            found = self.tokenizer.encode_batch_fast([r.decode() for r in some], add_special_tokens=False)
-            self.known.update(zip(some, [array("I", x.ids).tobytes() for x in found]))
+        self._learn(new)
         get = self.known.__getitem__
         return [b"".join(map(get, runs)) for runs in split]
 
+    def _learn(self, new: list[bytes]) -> None:
+        hard = []
+        for run in new:
+            found = PLAIN.fullmatch(text := run.decode())
+            if found:
+                self.known[run] = self._part(found[1].lower()) + self._part(found[2])
+            else:
+                hard.append((run, text))
+        for at in range(0, len(hard), 4096):
+            some = hard[at : at + 4096]
+            found = self.tokenizer.encode_batch_fast([text for _, text in some], add_special_tokens=False)
+            self.known.update((run, array("I", x.ids).tobytes()) for (run, _), x in zip(some, found))
+
+    def _part(self, text: str) -> bytes:
+        """ids of what the splitter takes as one piece: letters, or signs."""
+        ids = self.parts.get(text)
+        if ids is None:
+            shown = text if text.isascii() else "".join(map(BYTE_SIGNS.__getitem__, text.encode()))
+            ids = self.parts[text] = array("I", [x.id for x in self.tokenizer.model.tokenize(shown)]).tobytes() if text else b""
+        return ids
+
     def encode(self, text: bytes) -> bytes:
         return self.encode_all([text])[0]
 
