@@ -6,11 +6,6 @@ import math
 import duckdb
 
 
-def rows(found):
-    names = sorted(found.columns)
-    return names, found[names]
-
-
 def canonical(x):
     if isinstance(x, float):
         return "nan" if math.isnan(x) else round(x, 9) + 0.0

@@ -30,7 +30,7 @@ def test_logistic_meets_its_optimum():
     ids = [np.flatnonzero(r > 0) for r in x]
     scale = np.array([1.0, 2.0, 0.5, 1.0, 3.0])
     dense = (x > 0) * scale
-    assert np.allclose(fit_logistic(SparseRows(ids, scale), y, 5, 1e-2)[0], fit_logistic(DenseRows(dense), y, 5, 1e-2)[0], atol=1e-4)
+    assert np.allclose(fit_logistic(SparseRows.of(ids, scale), y, 5, 1e-2)[0], fit_logistic(DenseRows(dense), y, 5, 1e-2)[0], atol=1e-4)
 
 
 def test_gram_buckets_by_definition():

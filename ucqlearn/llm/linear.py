@@ -6,18 +6,37 @@ import numpy as np
 
 
 class SparseRows:
-    """Rows of feature numbers with one value a feature (all rows share ``scale``)."""
+    """Rows of feature numbers with one value a feature (all rows share ``scale``): ``ids`` of all rows in a line, and
+    ``starts``, one more than rows. Products go block by block, so that temporary arrays stay small."""
 
-    def __init__(self, rows: list[np.ndarray], scale: np.ndarray):
-        self.ids = np.concatenate([*rows, np.zeros(0, dtype=np.int64)]).astype(np.int64)
-        self.row = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-        self.n, self.scale = len(rows), scale
+    BLOCK = 1 << 18
+
+    def __init__(self, ids: np.ndarray, starts: np.ndarray, scale: np.ndarray):
+        self.ids, self.starts, self.n, self.scale = ids.astype(np.int32, copy=False), starts, len(starts) - 1, scale
+
+    @classmethod
+    def of(cls, rows: list[np.ndarray], scale: np.ndarray) -> "SparseRows":
+        return cls(np.concatenate([*rows, np.zeros(0, dtype=np.int32)]), np.cumsum([0, *map(len, rows)]), scale)
+
+    def _blocks(self):
+        low = 0
+        while low < self.n:
+            high = max(low + 1, int(np.searchsorted(self.starts, self.starts[low] + self.BLOCK, side="right")) - 1)
+            a, b = self.starts[low], self.starts[high]
+            yield low, high, self.ids[a:b], np.repeat(np.arange(high - low), np.diff(self.starts[low : high + 1]))
+            low = high
 
     def dot(self, w: np.ndarray) -> np.ndarray:
-        return np.bincount(self.row, weights=(w * self.scale)[self.ids], minlength=self.n)
+        out, scaled = np.zeros(self.n), w * self.scale
+        for low, high, ids, row in self._blocks():
+            out[low:high] = np.bincount(row, weights=scaled[ids], minlength=high - low)
+        return out
 
     def back(self, g: np.ndarray) -> np.ndarray:
-        return np.bincount(self.ids, weights=g[self.row], minlength=len(self.scale)) * self.scale
+        out = np.zeros(len(self.scale))
+        for low, high, ids, row in self._blocks():
+            out += np.bincount(ids, weights=g[low:high][row], minlength=len(self.scale))
+        return out * self.scale
 
 
 class DenseRows:

@@ -82,7 +82,7 @@ def _kept_grams(spec: GramSpec, place: np.ndarray):
             for text in batch.column(0).to_pylist():
                 found = place[np.concatenate([*spec.buckets(text or ""), np.zeros(0, dtype=np.int64)])]
                 lists.append(np.unique(found[found >= 0]))
-            yield pa.RecordBatch.from_arrays([pa.array(lists, pa.list_(pa.int64())), batch.column(1)], names=["ids", "toxic"])
+            yield pa.RecordBatch.from_arrays([pa.array(lists, pa.list_(pa.int32())), batch.column(1)], names=["ids", "toxic"])
 
     return run
 
@@ -105,9 +105,10 @@ def train_toxicity(spark, docs: DataFrame, labels: DataFrame, most_labelled: int
     buckets, ratios = np.array([k.bucket for k in kept], dtype=np.int64), np.array([k.r for k in kept])
     place = np.full(1 << spec.bits, -1, dtype=np.int32)
     place[buckets] = np.arange(len(kept))
-    rows = sample.mapInArrow(_kept_grams(spec, place), "ids array<long>, toxic int").toPandas()
-    x = SparseRows([np.asarray(r, dtype=np.int64) for r in rows.ids], ratios)
-    w, intercept = fit_logistic(x, rows.toxic.to_numpy(dtype=float), len(kept), l2)
+    rows = sample.mapInArrow(_kept_grams(spec, place), "ids array<int>, toxic int").toArrow().combine_chunks()
+    lists, y = rows.column("ids").combine_chunks(), rows.column("toxic").to_numpy().astype(float)
+    ids, starts = lists.flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64)
+    w, intercept = fit_logistic(SparseRows(ids, starts, ratios), y, len(kept), l2)
     work.drop()
     weights = np.zeros(1 << spec.bits, dtype=np.float32)
     weights[buckets] = w * ratios
