@@ -38,11 +38,12 @@ class Workspace:
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
 
-    def put(self, df: DataFrame, name: str, rows: int | None = None, exchange: bool = False) -> DataFrame:
+    def put(self, df: DataFrame, name: str, rows: int | None = None, exchange: bool = False, each: int = 50_000) -> DataFrame:
         """``rows``: about how many rows a narrow table has, so that it isn't cut into many small files. ``exchange``
-        keeps the work that makes the rows in all its tasks, where merging partitions would leave it to a few."""
+        keeps the work that makes the rows in all its tasks, where merging partitions would leave it to a few. ``each``: rows
+        a file."""
         if rows is not None:
-            df = df.repartition(max(1, -(-rows // 50_000))) if exchange else few_files(df, rows)
+            df = df.repartition(max(1, -(-rows // each))) if exchange else few_files(df, rows, each)
         df.write.mode("overwrite").parquet(self.path(name))
         return self.get(name, df.schema)
 
@@ -76,6 +77,11 @@ def space_words(text: Column) -> Column:
     return F.when(F.coalesce(F.length(bare), F.lit(0)) == 0, F.array().cast("array<string>")).otherwise(F.split(bare, "[\\x20\\x09-\\x0D]+"))
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Batches of 8 MB to and from Python, so that its memory doesn't grow with the length of texts."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "8m")
+
+
 def texts(column: pa.Array | pa.ChunkedArray) -> list[bytes]:
     """UTF-8 bytes of each value; null counts as empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]

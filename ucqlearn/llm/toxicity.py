@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace
+from .common import Workspace, small_batches
 from .linear import SparseRows, fit_logistic, sigmoid
 
 U = np.uint64
@@ -92,8 +92,9 @@ def train_toxicity(spark, docs: DataFrame, labels: DataFrame, most_labelled: int
     not at all. Without labels of both classes the model gives their share to every text."""
     known = labels.where("doc_id is not null and toxic in (0, 1)").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     picked = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_labelled)  # bounded, so it can be broadcast
+    small_batches(spark)
     work = Workspace(spark, "toxicity")
-    sample = work.put(docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("text", "toxic"), "sample")
+    sample = work.put(docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("text", "toxic"), "sample", most_labelled, exchange=True, each=2_500)
     n = {r.toxic: r.n for r in sample.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     texts_p, texts_q = n.get(1, 0), n.get(0, 0)
     # one row of sums a bucket, and the buckets that come through the test are bounded by most_grams
@@ -119,6 +120,7 @@ def score_toxicity(spark, docs: DataFrame, model: ToxicityModel) -> DataFrame:
     """Every column of ``docs`` in a struct ``row``, and score (0 to 1). Whole texts; null counts as empty."""
     from pyspark.sql.types import DoubleType, StructField, StructType
 
+    small_batches(spark)
     shared = spark.sparkContext.broadcast((model.spec, model.weights, model.intercept))
     row_type = StructType([StructField(f.name, f.dataType, True) for f in docs.schema])
 
