@@ -46,14 +46,14 @@ class LogisticLoss:
         return [sigmoid(m[0]) - y]
 
     def prox(self, df, rho):
-        """Newton steps from m, each its own projection so that all stay in generated code; steps are clamped, and
-        small rho gets more of them."""
+        """Newton steps from m, each its own projection so that all stay in generated code. Where rho is small the slope
+        nearly vanishes off the middle of the curve, so steps are clamped to its width, and there are more of them."""
         kept = df.columns
         df = df.withColumn("v0", F.col("m0"))
-        for _ in range(self.newton if rho >= 0.1 else max(self.newton, 12)):
+        for _ in range(self.newton if rho >= 0.5 else 2 * self.newton):
             p = sigmoid(F.col("v0"))
             step = (p - F.col("y") - F.col("mu0") - F.lit(rho) * (F.col("m0") - F.col("v0"))) / (p * (1 - p) + F.lit(rho))
-            bound = F.lit(1.0 / rho)
+            bound = F.lit(min(1.0 / rho, 4.0))
             df = df.select(*kept, (F.col("v0") - F.greatest(F.least(step, bound), -bound)).alias("v0"))
         return df
 
@@ -81,10 +81,10 @@ class SoftmaxLoss:
         return [p - (y == c).cast("double") for c, p in enumerate(softmax(m))]
 
     def prox(self, df, rho):
-        """Newton with the Hessian diag(p) - p p' + rho I, inverted by a rank-one formula."""
-        kept, k = df.columns, self.classes
+        """Newton with the Hessian diag(p) - p p' + rho I, inverted by a rank-one formula; steps are clamped as above."""
+        kept, k, bound = df.columns, self.classes, F.lit(min(1.0 / rho, 4.0))
         df = df.select(*kept, *[F.col(f"m{c}").alias(f"v{c}") for c in range(k)])
-        for _ in range(self.newton):
+        for _ in range(self.newton if rho >= 0.5 else 3 * self.newton):
             v = [F.col(f"v{c}") for c in range(k)]
             df = df.select(*kept, *v, *[p.alias(f"_p{c}") for c, p in enumerate(softmax(v))])
             p = [F.col(f"_p{c}") for c in range(k)]
@@ -93,7 +93,8 @@ class SoftmaxLoss:
             top = sum((F.col(f"_p{c}") * F.col(f"_e{c}") / (F.col(f"_p{c}") + rho) for c in range(k)), F.lit(0.0))
             low = sum((F.lit(rho) * F.col(f"_p{c}") / (F.col(f"_p{c}") + rho) for c in range(k)), F.lit(0.0))
             df = df.withColumn("_r", top / low)
-            df = df.select(*kept, *[(F.col(f"v{c}") - (F.col(f"_e{c}") + F.col(f"_p{c}") * F.col("_r")) / (F.col(f"_p{c}") + rho)).alias(f"v{c}") for c in range(k)])
+            step = [(F.col(f"_e{c}") + F.col(f"_p{c}") * F.col("_r")) / (F.col(f"_p{c}") + rho) for c in range(k)]
+            df = df.select(*kept, *[(F.col(f"v{c}") - F.greatest(F.least(step[c], bound), -bound)).alias(f"v{c}") for c in range(k)])
         return df
 
     def predicted(self, m):
