@@ -81,9 +81,14 @@ class OnlineSgd:
         scored.unpersist()
 
 
+def _timed(events: DataFrame) -> DataFrame:
+    """Watermarks take timestamps with a zone only; the session's zone is read into those without."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
 def windows(events: DataFrame, kind: str = "tumbling", late: str = "1 hour", size: str = "1 day", slide: str = "6 hours", gap: str = "30 minutes") -> DataFrame:
     """Counts and sums of events by window and type; works on streams (with a watermark) and tables alike."""
-    e = events.withWatermark("ts", late) if events.isStreaming else events
+    e = _timed(events).withWatermark("ts", late) if events.isStreaming else _timed(events)
     window = {"tumbling": lambda: F.window("ts", size), "sliding": lambda: F.window("ts", size, slide), "session": lambda: F.session_window("ts", gap)}[kind]()
     keys = [window.alias("w"), "event_type"] if kind != "session" else [window.alias("w"), "user_id"]
     return e.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), *[k for k in keys if isinstance(k, str)], "n", "total")
@@ -93,7 +98,7 @@ def without_repeats(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """Each event_id once; a stream forgets ids beyond the watermark."""
     if not events.isStreaming:
         return events.dropDuplicates(["event_id"])
-    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+    return _timed(events).withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
 def running_features(events: DataFrame) -> DataFrame:
