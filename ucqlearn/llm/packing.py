@@ -55,7 +55,7 @@ class CachedTokenizer:
     runs without it; these are remembered, up to ``most`` runs. A run of composed Latin letters with signs at its end needs
     neither normaliser nor splitter: it is two pieces, which go to the vocabulary's model as they are."""
 
-    def __init__(self, path: str, most: int = 800_000):
+    def __init__(self, path: str, most: int = 500_000):
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most = Tokenizer.from_file(path), most
