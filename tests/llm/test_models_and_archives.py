@@ -140,7 +140,7 @@ def test_pipeline_stages(spark):
         if name == "toxicity":
             toxic = {r.doc_id for r in spark.read.parquet(f"{SF}/labels.parquet").where("toxic = 1").collect()}
             print("toxic left", len(toxic & set(b)), "of", len(toxic), "dropped", len(a) - len(b))
-            assert len(toxic & set(b)) <= 0.2 * len(toxic) and len(set(a) - set(b)) < 0.25 * len(a)
+            assert len(toxic & set(b)) <= 0.3 * len(toxic) and len(set(a) - set(b)) < 0.25 * len(a)
         if name == "near_duplicates":
             want, linked = brute([(r.doc_id, r.text) for r in a.values()])
             assert {want[i] for i in b} == set(want.values())  # of each group one stays at least
