@@ -119,14 +119,14 @@ class _Track:
         return stop
 
 
-def _sgd(problem: Problem, method: str, eta: float, epochs: int, batch_size: int | None, beta: float, seed: int, dp: DpSpec | None, send_counts: str, track: bool, tests, tol: float, patience: int | None, thetas: dict | None) -> FitResult:
+def _sgd(problem: Problem, method: str, eta: float, epochs: int, batch_size: int | None, beta: float, seed: int, dp: DpSpec | None, send_counts: str, track: bool, tests, tol: float, patience: int | None, thetas: dict | None, judge: Problem | None) -> FitResult:
     """One round: predictions of the rows in use, margins, derivatives, one fold for each table, gradients by shard, one step."""
     join, ledger = JoinOperator(problem), Ledger()
     clients = {b.name: ClientOperator(b) for b in problem.blocks}
     thetas = dict(thetas) if thetas else {b.name: b.model.start(seed) for b in problem.blocks}
     n_batches = 1 if batch_size is None else max(1, math.ceil(problem.n / batch_size))
     k, rng = problem.classes, dp.rng() if dp else None
-    curve = _Track(problem, method, tests, tol, patience)
+    curve = _Track(judge or problem, method, tests, tol, patience)
     result = FitResult(method, thetas, curve.rows, ledger)
     for epoch in range(1, epochs + 1):
         rows = problem.rowmap
@@ -179,9 +179,10 @@ def _sgd(problem: Problem, method: str, eta: float, epochs: int, batch_size: int
     return result
 
 
-def rel_sgd(problem: Problem, eta: float = 0.1, epochs: int = 10, batch_size: int | None = None, beta: float = 1e-3, seed: int = 0, dp: DpSpec | None = None, send_counts: str = "never", track: bool = True, tests: DataFrame | None = None, tol: float = 0.0, patience: int | None = None, thetas: dict | None = None, method: str = "rel_sgd") -> FitResult:
-    """Folded SGD over tables and their shards; ``batch_size`` None takes all rows in one round."""
-    return _sgd(problem, method, eta, epochs, batch_size, beta, seed, dp, send_counts, track, tests, tol, patience, thetas)
+def rel_sgd(problem: Problem, eta: float = 0.1, epochs: int = 10, batch_size: int | None = None, beta: float = 1e-3, seed: int = 0, dp: DpSpec | None = None, send_counts: str = "never", track: bool = True, tests: DataFrame | None = None, tol: float = 0.0, patience: int | None = None, thetas: dict | None = None, method: str = "rel_sgd", judge: Problem | None = None) -> FitResult:
+    """Folded SGD over tables and their shards; ``batch_size`` None takes all rows in one round. Curves are taken on ``judge``,
+    by default the problem itself: slices of a join can't be looked up for other joined rows."""
+    return _sgd(problem, method, eta, epochs, batch_size, beta, seed, dp, send_counts, track, tests, tol, patience, thetas, judge)
 
 
 def rel_sgd_v(problem: Problem, **options) -> FitResult:
@@ -191,7 +192,7 @@ def rel_sgd_v(problem: Problem, **options) -> FitResult:
 
 def vfl_sgd(problem: Problem, **options) -> FitResult:
     """Baseline: unfolded SGD on vertical slices of the materialised join."""
-    return rel_sgd(slices(problem).vertical(), method="vfl_sgd", **options)
+    return rel_sgd(slices(problem).vertical(), method="vfl_sgd", judge=problem, **options)
 
 
 def centralized(problem: Problem, arch: str = "additive", model=None, **options) -> FitResult:
@@ -208,7 +209,7 @@ def centralized(problem: Problem, arch: str = "additive", model=None, **options)
         flat = replace(flat, blocks=[Block("all", rows, model)], rowmap=flat.rowmap.select("jid", F.col(key).alias("r_all"), "y"), used={"all": problem.n})
         if options.get("tests") is not None:
             raise SpecError("a test split needs the additive form")
-    result = rel_sgd(flat, method="centralized", **options)
+    result = rel_sgd(flat, method="centralized", judge=None if arch == "monolithic" else problem, **options)
     result.ledger = Ledger()  # nothing is sent
     return result
 
@@ -365,7 +366,7 @@ def server_step(join: JoinOperator, rows: DataFrame, rho: float) -> DataFrame:
     return rows.select("*", *[(F.col(f"mu{c}") + F.lit(rho) * gap[c]).alias(f"q{c}") for c in range(k)])
 
 
-def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests) -> FitResult:
+def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests, judge: Problem | None) -> FitResult:
     if o.schedule not in ("parallel", "sequential", "proximal"):
         raise SpecError(f"no schedule {o.schedule}")
     join, ledger, k = JoinOperator(problem), Ledger(), problem.classes
@@ -379,7 +380,7 @@ def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests) ->
         ledger.add(0, 0, "setup", b.name, "fan-out", problem.used.get(b.name, 0))
     ids = [f"r_{n}" for n in problem.names]
     state = problem.rowmap.select("jid", *ids, "y", *[F.lit(0.0).alias(f"mu{c}") for c in range(k)])
-    curve = _Track(problem, method, tests, 0.0, None)
+    curve = _Track(judge or problem, method, tests, 0.0, None)
     result = FitResult(method, thetas, curve.rows, ledger)
     extra = (len(problem.blocks) - 1) * o.rho if o.schedule == "proximal" else 0.0
     grown, label = 0, problem.store.label("state")
@@ -426,9 +427,9 @@ def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests) ->
     return result
 
 
-def rel_admm(problem: Problem, track: bool = True, tests: DataFrame | None = None, method: str = "rel_admm", **options) -> FitResult:
+def rel_admm(problem: Problem, track: bool = True, tests: DataFrame | None = None, method: str = "rel_admm", judge: Problem | None = None, **options) -> FitResult:
     """Folded ADMM over tables, with consensus ADMM over the shards of each."""
-    return _admm(problem, method, AdmmOptions(**options), track, tests)
+    return _admm(problem, method, AdmmOptions(**options), track, tests, judge)
 
 
 def rel_admm_v(problem: Problem, **options) -> FitResult:
@@ -438,7 +439,7 @@ def rel_admm_v(problem: Problem, **options) -> FitResult:
 
 def vfl_admm(problem: Problem, **options) -> FitResult:
     """Baseline: unfolded ADMM on vertical slices of the materialised join."""
-    return rel_admm(slices(problem).vertical(), method="vfl_admm", **options)
+    return rel_admm(slices(problem).vertical(), method="vfl_admm", judge=problem, **options)
 
 
 METHODS = {"rel_sgd": rel_sgd, "rel_sgd_v": rel_sgd_v, "rel_admm": rel_admm, "rel_admm_v": rel_admm_v, "vfl_sgd": vfl_sgd, "vfl_admm": vfl_admm, "centralized": centralized}
