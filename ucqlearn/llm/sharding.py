@@ -84,7 +84,7 @@ def refine(narrow: DataFrame, key: str, targets: list[tuple[float, float]], tota
     return found
 
 
-def shard_by_bytes(spark, docs: DataFrame, shards: int = 24, tolerance: float = 0.002, slice_bytes: int = 64 << 20, most_slices: int = 16384) -> DataFrame:
+def shard_by_bytes(spark, docs: DataFrame, shards: int = 24, tolerance: float = 0.002, slice_bytes: int = 8 << 20, most_slices: int = 16384) -> DataFrame:
     """``docs`` with shard (int) and slot (long, gapless from 0 in each shard, in key order).
 
     The size of a row is the UTF-8 bytes of its text plus 8, null text counting as none. A shard's bytes differ from the
