@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Workspace
+from .common import Workspace, few_files
 
 LOW, HIGH = -(1 << 63), (1 << 63) - 1
 
@@ -141,4 +141,5 @@ def shard_by_bytes(spark, docs: DataFrame, shards: int = 24, tolerance: float =
     starts = F.array(*[F.lit(int(unders[j] - shard_start[j // each])) for j in range(len(unders))])
     ranked = place.withColumn("_at", F.row_number().over(order))
     slot = F.element_at(starts, (F.col("_slice") + 1).cast("int")) + F.col("_at") - 1
-    return ranked.withColumn("shard", F.floor(F.col("_slice") / each).cast("int")).withColumn("slot", slot.cast("long")).drop("_k", "_tie", "_slice", "_at")
+    placed = ranked.withColumn("shard", F.floor(F.col("_slice") / each).cast("int")).withColumn("slot", slot.cast("long")).drop("_k", "_tie", "_slice", "_at")
+    return few_files(placed, rows, 10_000)

@@ -17,10 +17,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, texts
+from .common import Workspace, few_files, row_count, small_batches, texts
 from .rolling import Words, covered, grouped, mix, sliding_min
 
 BUFFER = 1 << 19
+EACH = 10_000  # documents a file
 SKETCH = "doc_id long, t long, n_words long, same1 long, same2 long, kept_sha256 string, anchors array<long>"
 
 
@@ -125,8 +126,9 @@ class FingerprintIndex:
 
     RUN = "anchor long, doc_id long, t long"
 
-    def __init__(self, work: Workspace, fanout: int = 4):
-        self.work, self.fanout, self.runs, self.made = work, fanout, [], 0
+    def __init__(self, work: Workspace, fanout: int = 4, documents: int | None = None):
+        """``documents``: about how many there are, so that runs aren't cut into many small files."""
+        self.work, self.fanout, self.documents, self.runs, self.made = work, fanout, documents, [], 0
 
     def history(self) -> DataFrame | None:
         tables = [self.work.get(name, self.RUN_SCHEMA) for name in self.runs]
@@ -144,7 +146,7 @@ class FingerprintIndex:
     def _write(self, rows: DataFrame) -> None:
         self.made += 1
         name = f"run-{self.made}"
-        self.work.put(rows.repartition("anchor").sortWithinPartitions("anchor", "doc_id"), name)
+        self.work.put(rows.repartition("anchor").sortWithinPartitions("anchor", "doc_id"), name, self.documents, each=EACH)
         self.runs.append(name)
 
     def ingest(self, batch: DataFrame) -> DataFrame:
@@ -161,7 +163,7 @@ class FingerprintIndex:
             old = history.groupBy("anchor").agg(F.lit(True).alias("old"))
             shared = counts.join(old, "anchor", "left").where("n > 1 or old").select("anchor")
             found = new.union(history).join(shared, "anchor")
-        found = self.work.put(found.select("anchor", "doc_id", "t"), f"found-{self.made}")
+        found = self.work.put(found.select("anchor", "doc_id", "t"), f"found-{self.made}", self.documents, each=EACH)
         if len(self.runs) > self.fanout:
             self.compact()
         return found
@@ -182,18 +184,20 @@ def remove_repeats(spark, docs: DataFrame, size: int = 50, gram: int = 16, batch
     nothing. A row without doc_id is never compared. Rows that repeat a doc_id count as the same document. Batches are ranges
     of doc_id, so that history always has the smaller ids. Other columns are ignored.
     """
+    small_batches(spark)
     work = Workspace(spark, "substrings")
+    rows = row_count(docs)
     keyed = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("t"))
     sketch = work.put(keyed.mapInArrow(sketches(size, gram), SKETCH), "sketch")
     # documents of one word sequence: all but the first lose everything, and only the first needs the index
     narrow = sketch.select("doc_id", "t", "n_words", "same1", "same2", "kept_sha256")
     firsts = narrow.where(F.col("doc_id").isNotNull() & (F.col("n_words") >= size)).groupBy("same1", "same2").agg(F.min("doc_id").alias("first_id"))
-    ruled = work.put(narrow.join(firsts, ["same1", "same2"], "left").select("doc_id", "t", "n_words", "kept_sha256", (F.col("first_id") < F.col("doc_id")).alias("copy")), "ruled")
+    ruled = work.put(narrow.join(firsts, ["same1", "same2"], "left").select("doc_id", "t", "n_words", "kept_sha256", (F.col("first_id") < F.col("doc_id")).alias("copy")), "ruled", rows, each=EACH)
     unique = sketch.select("doc_id", "t", "anchors", "n_words").join(ruled.where("copy").select("doc_id", "t").distinct(), ["doc_id", "t"], "left_anti")
     unique = unique.where(F.col("doc_id").isNotNull() & (F.col("n_words") >= size)).select("doc_id", "t", F.explode("anchors").alias("anchor"))
     cuts = narrow.agg(F.percentile_approx("doc_id", [i / batches for i in range(1, batches)], 1000).alias("q")).first()["q"] if batches > 1 else []
     edges = [None, *sorted(set(cuts or [])), None]
-    index, found = FingerprintIndex(work, fanout), None
+    index, found = FingerprintIndex(work, fanout, rows), None
     for low, high in zip(edges, edges[1:]):
         part = unique
         part = part if low is None else part.where(F.col("doc_id") > low)
@@ -201,7 +205,7 @@ def remove_repeats(spark, docs: DataFrame, size: int = 50, gram: int = 16, batch
         some = index.ingest(part.select("anchor", "doc_id", "t"))
         found = some if found is None else found.union(some)
     wanted = found.groupBy("doc_id", "t").agg(F.collect_set("anchor").alias("anchors"))
-    suspects = work.put(keyed.join(wanted, ["doc_id", "t"]).select("doc_id", "t", "text", "anchors"), "suspects")
+    suspects = work.put(keyed.join(wanted, ["doc_id", "t"]).select("doc_id", "t", "text", "anchors"), "suspects", rows, each=EACH)
     windows = suspects.mapInArrow(candidate_windows(size, gram), "h1 long, h2 long, doc_id long, t long, place int")
     shared = windows.groupBy("h1", "h2").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id").drop("last_id")
     hits = windows.join(shared, ["h1", "h2"]).where("doc_id > first_id").groupBy("doc_id", "t").agg(F.collect_set("place").alias("places"))
@@ -210,10 +214,11 @@ def remove_repeats(spark, docs: DataFrame, size: int = 50, gram: int = 16, batch
     cut = cut.select("doc_id", "t", "n_removed", F.col("kept_sha256").alias("cut_sha256"), "kept_text")
     out = ruled.join(cut, ["doc_id", "t"], "left")
     copy = F.coalesce("copy", F.lit(False))
-    return out.select(
+    result = out.select(
         "doc_id",
         "n_words",
         F.when(copy, F.col("n_words")).otherwise(F.coalesce("n_removed", F.lit(0))).cast("long").alias("n_removed"),
         F.when(copy, F.sha2(F.lit("").cast("binary"), 256)).otherwise(F.coalesce("cut_sha256", "kept_sha256")).alias("kept_sha256"),
         F.when(copy, F.lit("")).otherwise(F.col("kept_text")).alias("kept_text"),
     )
+    return few_files(result, rows, EACH)
