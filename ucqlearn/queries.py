@@ -50,7 +50,7 @@ SCALED = {
     "supplier": ["s_acctbal / 5000e0"],
 }
 Y_NUMBER, Y_BINARY = "l_extendedprice / 20000e0", "CASE WHEN l_linestatus = 'F' THEN 1.0 ELSE 0.0 END"
-L_RID = "((l_orderkey * 20000003 + l_partkey) * 1009 + l_suppkey) * 8 + l_linenumber"
+L_RID = "((((l_orderkey * 20000003 + l_partkey) * 1009 + l_suppkey) * 8 + l_linenumber) * 64 + CAST(l_quantity AS BIGINT))"
 P = mapping.PRIME
 
 
@@ -194,7 +194,7 @@ def _w1(spark, sf_dir):
     return UcqSpec(tables, [*EDGES_W0, (("lineitem", "l_orderkey"), ("orders", "o_orderkey")), (("orders", "o_custkey"), ("customer", "c_custkey"))])
 
 
-@query("row_map_w1", f"SELECT {L_RID} AS r_lineitem, c_custkey AS r_customer, o_orderkey AS r_orders, p_partkey AS r_part, s_suppkey AS r_supplier, {Y_BINARY} AS y {JOIN_W0} JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey")
+@query("row_map_w1", f"SELECT {L_RID} AS r_lineitem, c_custkey AS r_customer, o_orderkey AS r_orders, p_partkey AS r_part, s_suppkey AS r_supplier, CAST({Y_BINARY} AS DOUBLE) AS y {JOIN_W0} JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey")
 def row_map_w1(spark, sf_dir):
     return mapping.build_row_map(_w1(spark, sf_dir)).drop("jid").withColumn("y", F.col("y"))
 
@@ -219,7 +219,7 @@ def row_map_m2n(spark, sf_dir):
     return mapping.build_row_map(stays(spark, sf_dir)[0]).select("r_events", "r_customer", "r_orders")
 
 
-@query("ucq_expansion_w0", f"SELECT s_suppkey AS r_supplier, count(*) AS n, CAST(sum(p_partkey) AS BIGINT) AS parts, CAST(sum(({L_RID}) % 1000) AS BIGINT) AS lines {JOIN_W0} GROUP BY s_suppkey")
+@query("ucq_expansion_w0", f"SELECT s_suppkey AS r_supplier, count(*) AS n, CAST(sum(p_partkey) AS BIGINT) AS parts, CAST(sum({L_RID} % 1000) AS BIGINT) AS lines {JOIN_W0} GROUP BY s_suppkey")
 def ucq_expansion_w0(spark, sf_dir):
     rows = mapping.expand_union_of_joins(shared(spark, sf_dir, shards=2))
     return rows.groupBy("r_supplier").agg(F.count(F.lit(1)).alias("n"), F.sum("r_part").alias("parts"), F.sum(F.pmod("r_lineitem", F.lit(1000))).alias("lines"))
@@ -663,7 +663,7 @@ def standardize_stats(spark, sf_dir):
     return load_table(spark, sf_dir, "lineitem").agg(r6(F.avg("l_quantity")).alias("mean"), r6(F.stddev_pop("l_quantity")).alias("std"))
 
 
-@query("one_hot_part", "SELECT p_partkey, CASE WHEN p_brand = 'Brand#2' THEN 1.0 ELSE 0.0 END AS b2, CASE WHEN p_brand = 'Brand#17' THEN 1.0 ELSE 0.0 END AS b17, CASE p_brand WHEN 'Brand#2' THEN 0 WHEN 'Brand#17' THEN 1 END AS place FROM part")
+@query("one_hot_part", "SELECT p_partkey, CAST(p_brand = 'Brand#2' AS INTEGER)::DOUBLE AS b2, CAST(p_brand = 'Brand#17' AS INTEGER)::DOUBLE AS b17, CASE p_brand WHEN 'Brand#2' THEN 0 WHEN 'Brand#17' THEN 1 END AS place FROM part")
 def one_hot_part(spark, sf_dir):
     brands = ["Brand#2", "Brand#17"]
     a, b = fx.one_hot(F.col("p_brand"), brands)

@@ -19,12 +19,14 @@ def scaled(df: DataFrame, columns: list[str]) -> DataFrame:
 
 
 def line_id() -> Column:
-    """A lineitem's id from its keys; (order, part, supplier, line) is unique but for equal rows."""
-    return ((F.col("l_orderkey") * 20_000_003 + F.col("l_partkey")) * 1009 + F.col("l_suppkey")) * 8 + F.col("l_linenumber")
+    """A lineitem's id from its keys and quantity, which tell the given rows apart and can be stated in SQL. It is for the
+    given tables: at larger scale its products overflow, which is an error, and ``rowids.ranked`` takes its place."""
+    keys = ((F.col("l_orderkey") * 20_000_003 + F.col("l_partkey")) * 1009 + F.col("l_suppkey")) * 8 + F.col("l_linenumber")
+    return keys * 64 + F.col("l_quantity").cast("long")
 
 
 def lineitems(spark, sf_dir: str) -> DataFrame:
-    return load_table(spark, sf_dir, "lineitem").withColumn("l_rid", line_id()).dropDuplicates(["l_rid"]).withColumn("one", F.lit(1.0))
+    return load_table(spark, sf_dir, "lineitem").withColumn("l_rid", line_id()).withColumn("one", F.lit(1.0))
 
 
 def with_shards(df: DataFrame, key: str, count: int) -> DataFrame:
