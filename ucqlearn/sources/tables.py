@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
 import json
+import re
+import shutil
+import tempfile
 import uuid
 
 import numpy as np
@@ -37,21 +41,27 @@ def shards_from_paths(spark, paths: list[str], format: str = "parquet", schema=N
     return [read(spark, p, format, schema) for p in paths]
 
 
+def shared_folder(spark: SparkSession, label: str) -> str:
+    """A new folder's URI under spark.checkpoint.dir, which driver and executors share; sessions without that setting, as
+    in tests, get a temporary one. Folders of the file scheme are removed when the driver's Python ends."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base is None:
+        base = tempfile.mkdtemp(prefix="ucqlearn_")
+        atexit.register(shutil.rmtree, base, ignore_errors=True)
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(base)
+    uri = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(path).toString()
+    uri = f"{re.sub(r'^file:/+', 'file:///', uri).rstrip('/')}/{label}-{uuid.uuid4().hex[:12]}"
+    if uri.startswith("file:///"):
+        atexit.register(shutil.rmtree, uri.removeprefix("file://"), ignore_errors=True)
+    return uri
+
+
 class ArtifactStore:
-    """Row maps, states and signals as parquet in the shared folder (spark.checkpoint.dir where it is set)."""
+    """Row maps, states and signals as parquet in the shared folder."""
 
     def __init__(self, spark: SparkSession, path: str | None = None):
         self.spark = spark
-        base = path or spark.conf.get("spark.checkpoint.dir", None)
-        if base is None:
-            import atexit
-            import shutil
-            import tempfile
-
-            base = tempfile.mkdtemp(prefix="ucqlearn_store_")  # sessions without a shared folder, as in tests
-            atexit.register(shutil.rmtree, base, ignore_errors=True)
-            base = "file://" + base
-        self.root = f"{base.rstrip('/')}/store-{uuid.uuid4().hex[:12]}"
+        self.root = path.rstrip("/") if path else shared_folder(spark, "store")
         self.made = 0
 
     def label(self, name: str) -> str:
