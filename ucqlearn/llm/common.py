@@ -2,30 +2,13 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-from functools import lru_cache
-
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SPACE = " \t\n\x0b\f\r"
-
+from ..sources.tables import shared_folder
 
-@lru_cache(maxsize=1)
-def _own_dir() -> str:
-    """Only for sessions without spark.checkpoint.dir (tests in local mode)."""
-    path = tempfile.mkdtemp(prefix="ucqlearn_")
-    atexit.register(shutil.rmtree, path, ignore_errors=True)
-    return "file://" + path
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, as a URI or path."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or _own_dir()).rstrip("/")
+SPACE = " \t\n\x0b\f\r"
 
 
 class Workspace:
@@ -33,7 +16,7 @@ class Workspace:
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
-        self.root = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex[:12]}"
+        self.root = shared_folder(spark, label)
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
