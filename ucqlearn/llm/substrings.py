@@ -208,6 +208,8 @@ def remove_repeats(spark, docs: DataFrame, size: int = 50, gram: int = 16, batch
     suspects = work.put(keyed.join(wanted, ["doc_id", "t"]).select("doc_id", "t", "text", "anchors"), "suspects", rows, each=EACH)
     windows = suspects.mapInArrow(candidate_windows(size, gram), "h1 long, h2 long, doc_id long, t long, place int")
     shared = windows.groupBy("h1", "h2").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id").drop("last_id")
+    # written, so that both sides of the join are plain shuffles and a window of very many documents can be split
+    shared = work.put(shared, "shared", rows, each=EACH)
     hits = windows.join(shared, ["h1", "h2"]).where("doc_id > first_id").groupBy("doc_id", "t").agg(F.collect_set("place").alias("places"))
     cut = suspects.select("doc_id", "t", "text").dropDuplicates(["doc_id", "t"]).join(hits, ["doc_id", "t"]).select("doc_id", "t", "text", "places")
     cut = cut.mapInArrow(_cut(size), "doc_id long, t long, n_words long, n_removed long, kept_sha256 string, kept_text string")
