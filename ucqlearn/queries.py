@@ -14,6 +14,7 @@ from . import cost, metrics, privacy
 from .functions import columns as fx
 from .functions.losses import LogisticLoss, SoftmaxLoss, SquaredLoss
 from .functions.models import LinearModel
+from .operators.joins import asof_join, range_join, salted_join
 from .operators.steps import ClientOperator, JoinOperator
 from .plans import batches, mapping, train
 from .plans.ucq import TableSpec, UcqSpec
@@ -717,13 +718,23 @@ def pivot_orders(spark, sf_dir):
 
 @query("asof_orders_events", "SELECT event_id, (SELECT max(o_orderdate) FROM orders WHERE o_custkey = user_id AND o_orderdate <= ts - INTERVAL 9900 DAY) AS ordered FROM events")
 def asof_orders_events(spark, sf_dir):
-    """A customer's last order at least 9,900 days before each event: one sort by customer and time, no pairs."""
-    events, orders = load_table(spark, sf_dir, "events"), load_table(spark, sf_dir, "orders")
-    both = events.select(F.col("user_id").alias("u"), (F.col("ts") - F.expr("INTERVAL 9900 DAY")).alias("at"), F.lit(1).alias("k"), "event_id", F.lit(None).cast("timestamp_ntz").alias("o"))
-    own = orders.join(events.select(F.col("user_id").alias("o_custkey")).distinct(), "o_custkey", "left_semi")
-    both = both.union(own.select("o_custkey", "o_orderdate", F.lit(0), F.lit(None).cast("long"), "o_orderdate"))
-    w = Window.partitionBy("u").orderBy("at", "k").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn("ordered", F.last("o", ignorenulls=True).over(w)).where("k = 1").select("event_id", "ordered")
+    """A customer's last order at least 9,900 days before each event."""
+    events = load_table(spark, sf_dir, "events").select("event_id", "user_id", (F.col("ts") - F.expr("INTERVAL 9900 DAY")).alias("at"))
+    orders = load_table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("at"), F.col("o_orderdate").alias("ordered"))
+    orders = orders.join(events.select("user_id").distinct(), "user_id", "left_semi")
+    return asof_join(events, orders, "user_id", "at", "ordered").select("event_id", "ordered")
+
+
+@query("range_join_sizes", "WITH s AS (SELECT * FROM (VALUES (1, 900.0::DOUBLE, 910.0::DOUBLE), (2, 905.0::DOUBLE, 950.0::DOUBLE), (3, 990.0::DOUBLE, 995.5::DOUBLE)) v(band, lo, hi)) SELECT band, count(*) AS n FROM part JOIN s ON lo <= p_retailprice AND p_retailprice < hi GROUP BY band")
+def range_join_sizes(spark, sf_dir):
+    bands = spark.createDataFrame([(1, 900.0, 910.0), (2, 905.0, 950.0), (3, 990.0, 995.5)], "band int, lo double, hi double")
+    return range_join(load_table(spark, sf_dir, "part").select("p_retailprice"), bands, "p_retailprice", "lo", "hi", 10.0).groupBy("band").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("salted_join_supplier", "SELECT s_suppkey, count(*) AS n, round(sum(s_acctbal), 6) + 0.0 AS total FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1")
+def salted_join_supplier(spark, sf_dir):
+    big = load_table(spark, sf_dir, "lineitem").select(F.col("l_suppkey").alias("s_suppkey"), "l_orderkey")
+    return salted_join(big, load_table(spark, sf_dir, "supplier").select("s_suppkey", "s_acctbal"), "s_suppkey", 600).groupBy("s_suppkey").agg(F.count(F.lit(1)).alias("n"), r6(F.sum("s_acctbal")).alias("total"))
 
 
 @query("events_tumbling", "SELECT date_trunc('day', ts) AS day, event_type, count(*) AS n, round(sum(value), 6) + 0.0 AS total FROM events GROUP BY 1, 2")
