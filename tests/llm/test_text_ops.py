@@ -242,3 +242,12 @@ def test_entropy_by_counts():
 
 def test_secrets_odd_tables(spark):
     assert scan_secrets(odd(spark)).count() == len(ODD) and scan_secrets(odd(spark).where("false")).count() == 0
+
+
+def test_secrets_of_two_kinds_of_characters():
+    scanner = SecretScanner()
+    for key in ("JBSWY3DPEHPK3PXPQ7T4MZ2K6NVA5RCU", "k3v9x0q7m2z8t5w1r6y4p0n9b8h2j7g5"):
+        text = f"so {key} here"
+        assert scanner.scan(text)[1] == [(3, 3, 3 + len(key))]
+    assert not scanner.suspicious("a1" * 16) and not scanner.suspicious("12345678901234567890")
+    assert SecretScanner(EntropyRule(allowed=())).suspicious("12345678901234567890")

@@ -28,7 +28,7 @@ class EntropyRule:
     order and the first that holds all its characters is used; other strings count under the last."""
 
     window: int = 20
-    classes: tuple = (("digits", "0123456789", 9.9), ("hex", "0123456789abcdefABCDEF", 3.0), ("base64", None, 3.6))
+    classes: tuple = (("digits", "0123456789", 3.0), ("hex", "0123456789abcdefABCDEF", 3.0), ("base32", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789=", 3.6), ("base36", "abcdefghijklmnopqrstuvwxyz0123456789", 3.6), ("base64", None, 3.6))
     mixed: int = 3  # kinds of characters (lower, upper, digit) that a base64 candidate must have
     allowed: tuple = field(default=ALLOWED)
 
