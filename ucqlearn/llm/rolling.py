@@ -1,7 +1,11 @@
-"""Vectorised word and window hashes over batches of byte strings (numpy, 64-bit wrap-around)."""
+"""Vectorised word and window hashes over batches of byte strings (numpy, 64-bit wrap-around).
+
+Polynomials modulo 2**64 collide on long sequences of a certain build whatever their base, so they are used for runs of at most
+``LONGEST`` items only; longer words, whole documents and windows that decide a result get BLAKE2b digests of their bytes."""
 
 from __future__ import annotations
 
+import hashlib
 from functools import lru_cache
 
 import numpy as np
@@ -45,9 +49,10 @@ def _spans(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, base: int)
     return out
 
 
+LONGEST = 256
 STRETCH_LOG = 20
 STRETCH = (1 << STRETCH_LOG) - 1
-BASES = ((0x9E3779B97F4A7C15, 0xD1B54A32D192ED03), (0xA0761D6478BD642F, 0xE7037ED1A0B428DB))
+BASES = (0x9E3779B97F4A7C15, 0xD1B54A32D192ED03)  # of bytes in a word, of words in a window
 
 
 class Words:
@@ -64,17 +69,32 @@ class Words:
         self.ends = np.concatenate([gaps, [len(self.bytes)]]) if self.n else np.zeros(0, dtype=np.int64)
         self.doc = np.repeat(np.arange(len(documents)), sizes)
 
-    def hashes(self, which: int) -> np.ndarray:
-        return _spans(self.bytes.astype(U) + U(1), self.starts, self.ends, BASES[which][0])
+    def hashes(self) -> np.ndarray:
+        out = _spans(self.bytes.astype(U) + U(1), self.starts, self.ends, BASES[0])
+        for i in np.flatnonzero(self.ends - self.starts > LONGEST):
+            out[i] = int.from_bytes(hashlib.blake2b(self.bytes[self.starts[i] : self.ends[i]], digest_size=8).digest(), "little")
+        return out
 
-    def windows(self, hashes: np.ndarray, size: int, which: int) -> tuple[np.ndarray, np.ndarray]:
+    def windows(self, hashes: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
         """(place, hash) of each run of ``size`` words inside one document."""
+        if size > LONGEST:
+            raise ValueError(f"windows of more than {LONGEST} words need digests")
         place = np.flatnonzero(np.arange(self.n) + size <= self.first[self.doc + 1]) if self.n else np.zeros(0, dtype=np.int64)
-        return place, _spans(hashes, place, place + size, BASES[which][1])
-
-    def documents(self, hashes: np.ndarray, which: int) -> np.ndarray:
-        """Hash of each document's whole word sequence."""
-        return _spans(hashes, self.first[:-1], self.first[1:], BASES[which][1])
+        return place, _spans(hashes, place, place + size, BASES[1])
+
+    def digests(self, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """128-bit digest, in two halves, of the words from number start up to end, joined by one space. The words of an
+        empty range are the empty string."""
+        raw = self.bytes.tobytes()
+        low = np.where(starts < ends, np.append(self.starts, 0)[starts], 0).tolist()
+        high = np.where(starts < ends, np.append(self.ends, 0)[ends - 1], 0).tolist()
+        found = b"".join(hashlib.blake2b(raw[a:b], digest_size=16).digest() for a, b in zip(low, high))
+        halves = np.frombuffer(found, dtype=np.int64).reshape(-1, 2)
+        return halves[:, 0].copy(), halves[:, 1].copy()
+
+    def documents(self) -> tuple[np.ndarray, np.ndarray]:
+        """Digest of each document's whole word sequence."""
+        return self.digests(self.first[:-1], self.first[1:])
 
 
 def sliding_min(x: np.ndarray, size: int) -> np.ndarray:
