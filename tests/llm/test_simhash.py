@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ucqlearn.llm import queries
 from ucqlearn.llm.components import components
 from ucqlearn.llm.common import Workspace
-from ucqlearn.llm.neardup import near_duplicates, variant_links
+from ucqlearn.llm.neardup import near_duplicates, variant_groups
 from ucqlearn.llm.simhash import fingerprint_report, fingerprints, within_radius
 
 SF = "/root/testdata/sf0.01"
@@ -81,11 +81,38 @@ def test_links_by_both_indexes(spark):
     df = spark.createDataFrame([(v,) for v in signed], "fp long")
     pairs = lambda r: sorted((a, b) for a in signed for b in signed if a < b and ((a ^ b) % (1 << 64)).bit_count() <= r)
     for r in (1, 3, 5):
-        assert sorted(tuple(x) for x in variant_links(df, r).collect()) == pairs(r)
+        want = groups({v % (1 << 64): v % (1 << 64) for v in signed}, r)
+        sets = lambda named: sorted(sorted(k for k in named if named[k] == g) for g in set(named.values()))
+        got = {x.node % (1 << 64): x.component for x in variant_groups(df, Workspace(spark, "t"), None, r).collect()}
+        assert sets(got) == [x for x in sets(want) if len(x) > 1]
     for r, blocks in ((2, 4), (3, 5), (3, 4)):
         assert sorted(tuple(x)[:2] for x in within_radius(df, r, blocks).collect()) == pairs(r)
 
 
+def test_dense_groups_link_without_their_pairs(spark):
+    """Two families that share keys: all within 3 bits of their own centre, the centres 5 bits apart; and a chain."""
+    far = sum(1 << b for b in (3, 9, 40, 50, 60))
+    values = {c ^ 1 << i ^ (1 << j if j != i else 0) for c in (0, far) for i in range(64) for j in range(i, 64, 7)}
+    chain = [(1 << 64) - 1]
+    for k in range(20):
+        chain.append(chain[-1] ^ (7 << 3 * k))
+    named = {v: v for v in values | set(chain)}
+    want = groups(named, 3)
+    rows = [(v - (1 << 64) if v >> 63 else v,) for v in named]
+    got = {x.node % (1 << 64): x.component for x in variant_groups(spark.createDataFrame(rows, "fp long"), Workspace(spark, "t")).collect()}
+    sets = lambda n: sorted(sorted(k for k in n if n[k] == g) for g in set(n.values()))
+    assert sets(got) == [x for x in sets(want) if len(x) > 1]
+
+
+def test_repeated_rows_vote_apart(spark):
+    """Votes of very many equal rows don't run over."""
+    text = "w " * 8194
+    df = spark.createDataFrame([(1, text)] * 300 + [(None, text)] * 3 + [(2, text + "x")], "doc_id long, text string")
+    rows = near_duplicates(spark, df).collect()
+    assert len(rows) == 304 and {r.fp % (1 << 64) for r in rows} <= {plain_print(text, 3), plain_print(text + "x", 3)}
+    assert {(r.doc_id, r.component_id) for r in rows} == {(1, 1), (2, 1), (None, None)}
+
+
 def test_components_chain_and_star(spark):
     links = [(i, i + 1) for i in range(40)] + [(100, i) for i in range(101, 140)] + [(200, 200)] + [(7, 3)] * 3
     got = {r.node: r.component for r in components(spark.createDataFrame(links, "u long, v long"), Workspace(spark, "t")).collect()}

@@ -14,7 +14,7 @@ from ucqlearn.llm.decontaminate import decontaminate
 from ucqlearn.llm.packing import CachedTokenizer, PackCost, balance, pack, rooms, tokenizer_path
 from ucqlearn.llm.secrets import EntropyRule, SecretScanner, redact, scan_secrets, window_entropy
 from ucqlearn.llm.sharding import shard_by_bytes
-from ucqlearn.llm.substrings import FingerprintIndex, remove_repeats
+from ucqlearn.llm.substrings import RepeatIndex, remove_repeats
 
 from .oracle import check
 
@@ -204,6 +204,34 @@ def test_passages_odd_tables(spark):
     assert remove_repeats(spark, df.where("false")).count() == 0
 
 
+def turning(n=2048):
+    """Two sequences that polynomial hashes modulo 2**64 can't tell apart, whatever their base."""
+    odd = [bin(i).count("1") % 2 for i in range(n)]
+    return [" ".join(f"u{i} {'ab'[x ^ turn]}" for i, x in enumerate(odd)) for turn in (0, 1)]
+
+
+def test_sequences_that_share_no_window(spark):
+    df = spark.createDataFrame(list(enumerate(turning())), "doc_id long, text string")
+    assert [r.n_removed for r in remove_repeats(spark, df).collect()] == [0, 0]
+    long = spark.createDataFrame([(i, " ".join(f"w{k}" for k in range(60)) + " " + "".join("ab"[(bin(j).count("1") + i) % 2] for j in range(4096))) for i in range(2)], "doc_id long, text string")
+    assert sorted(r.n_removed for r in remove_repeats(spark, long).collect()) == [0, 60]
+
+
+def test_index_goes_on_in_another_session(spark, tmp_path):
+    """Batches through an index that is opened again each time, with merges of its runs, against the whole table at once."""
+    rng = random.Random(9)
+    passages = [[rng.choice("abcd") + str(rng.randint(0, 9)) for _ in range(20)] for _ in range(4)]
+    docs = [(i, " ".join(sum(([f"x{i}.{k}", *rng.choice(passages)] for k in range(rng.randint(0, 3))), []))) for i in range(60)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got, runs = [], []
+    for low in range(0, 60, 12):
+        index = RepeatIndex(spark, f"file://{tmp_path}/index", 8, 3, fanout=2, documents=12)
+        got += index.ingest(df.where(f"doc_id between {low} and {low + 11}"), df.where(f"doc_id < {low}")).collect()
+        runs.append(len(index.anchors.runs))
+    assert runs == [1, 2, 1, 2, 1]
+    assert {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in got} == plain_repeats(docs, 8)
+
+
 # secrets
 
 
