@@ -16,7 +16,7 @@ from .common import Workspace, ascii_lower, few_files, row_count, space_words
 
 LANE = 21
 LANE_MASK = 1 | 1 << LANE | 1 << 2 * LANE
-CHUNK = 8192  # terms counted in one packed sum; a lane holds 2**21, so 255 equal rows still fit
+CHUNK = 8192  # terms counted in one packed sum; a lane holds 2**21
 BITS = 64
 
 
@@ -28,8 +28,7 @@ def fingerprints(df: DataFrame, keys: list[str], text: str, width: int, lower: b
     """One row for each distinct ``keys``: keys, ``fp`` (long), ``n_terms`` (long).
 
     Null, empty and blank texts have fingerprint 0 and no terms; a text of fewer than ``width`` words has one
-    term, its whole word sequence. Rows with equal keys must have equal texts: their votes are added, which
-    leaves the majority as it is. Texts of any length are counted in chunks, none is cut.
+    term, its whole word sequence. ``keys`` must be unique in ``df``, as the votes of a key are added. Texts of any length are counted in chunks, none is cut.
     """
     raw = F.coalesce(F.col(text), F.lit(""))
     words = df.select(*keys, space_words(ascii_lower(raw) if lower else raw).alias("_w"))
@@ -78,29 +77,28 @@ def block_keys(fp: Column, radius: int, blocks: int) -> Column:
 
 def within_radius(classes: DataFrame, radius: int = 3, blocks: int = 5) -> DataFrame:
     """All pairs of different fingerprints in ``classes`` (column fp, each once) at most ``radius`` bits apart:
-    a, b (a < b), distance. Each pair comes once: from the first table in which it agrees."""
+    a, b (a < b), distance, and other columns of ``classes`` with _a and _b. Each pair comes once: from the first table in which it agrees."""
     if not 0 < radius < blocks:
         raise ValueError("radius must be over 0 and under the number of blocks")
-    entries = classes.select("fp", F.explode(block_keys(F.col("fp"), radius, blocks)).alias("e")).select("fp", "e.t", "e.k")
-    left, right = entries.withColumnRenamed("fp", "a"), entries.withColumnRenamed("fp", "b")
+    more = [c for c in classes.columns if c != "fp"]
+    entries = classes.select(*classes.columns, F.explode(block_keys(F.col("fp"), radius, blocks)).alias("e")).select(*classes.columns, "e.t", "e.k")
+    left, right = (entries.withColumnsRenamed({"fp": x} | {c: f"{c}_{x}" for c in more}) for x in "ab")
     edges = [round(i * BITS / blocks) for i in range(blocks + 1)]
     x = F.col("a").bitwiseXOR(F.col("b"))
     masks = [sum(((1 << edges[b + 1]) - (1 << edges[b])) for b in chosen) for chosen in combinations(range(blocks), blocks - radius)]
     first = F.coalesce(*[F.when(x.bitwiseAND(F.lit(m - (1 << 64) if m >> 63 else m)) == 0, F.lit(i)) for i, m in enumerate(masks)])
     pairs = left.join(right, (left.t == right.t) & (left.k == right.k) & (F.col("a") < F.col("b")) & (F.bit_count(x) <= radius) & (first == left.t))
-    return pairs.select("a", "b", F.bit_count(x).alias("distance"))
+    return pairs.select("a", "b", F.bit_count(x).alias("distance"), *[f"{c}_{x}" for c in more for x in "ab"])
 
 
-def successors(df: DataFrame, key: str, slices: int = 64) -> DataFrame:
+def successors(df: DataFrame, key: str, work: Workspace, rows: int, each: int = 500_000) -> DataFrame:
     """key, next_key for each distinct key: the next in descending order; after the last comes the first.
 
-    The keys are cut into ``slices`` ranges by approximate quantiles, ordered range by range, and the ends of the
-    ranges are tied together from one row a range. No task orders all keys.
+    The keys are dealt into ranges of about ``each`` keys, which are written, ordered range by range, and tied together at their
+    ends from one row a range. No task orders all keys.
     """
     keys = df.select(F.col(key).alias("k")).where(F.col(key).isNotNull()).distinct()
-    cuts = keys.agg(F.percentile_approx("k", [i / slices for i in range(1, slices)], 10000).alias("q")).first()["q"] or []
-    part = F.size(F.filter(F.array(*[F.lit(c) for c in sorted(set(cuts))]).cast("array<bigint>"), lambda c: c < F.col("k")))
-    sliced = keys.select("k", part.alias("s"))
+    sliced = work.put(keys.repartitionByRange(max(1, -(-rows // each)), "k").select("k", F.spark_partition_id().alias("s")), f"ranges-{key}")
     ends = sliced.groupBy("s").agg(F.max("k").alias("top"))
     from pyspark.sql import Window
 
@@ -112,11 +110,11 @@ def successors(df: DataFrame, key: str, slices: int = 64) -> DataFrame:
     return chained.join(F.broadcast(ties), "s").select(F.col("k").alias(key), F.coalesce("n", "after").alias("next_key"))
 
 
-def edited_texts(df: DataFrame) -> DataFrame:
+def edited_texts(df: DataFrame, work: Workspace, rows: int) -> DataFrame:
     """doc_id, text, edited, next_id: the last third of the code points gives way to as many first ones of the
     next document in descending doc_id. Rows need unique, non-null doc_id; a sole document follows itself."""
     docs = df.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    order = successors(docs, "doc_id")
+    order = successors(docs, "doc_id", work, rows)
     sized = docs.select("doc_id", F.char_length("text").alias("n"))
     wanted = order.join(sized, "doc_id").select("doc_id", F.col("next_key").alias("next_id"), F.floor(F.col("n") / 3).cast("int").alias("third"))
     heads = docs.join(wanted.select(F.col("doc_id").alias("for_id"), F.col("next_id").alias("doc_id"), "third"), "doc_id")
@@ -135,14 +133,15 @@ def fingerprint_report(spark, docs: DataFrame, width: int = 5, radius: int = 3,
     work = Workspace(spark, "simhash")
     rows = row_count(docs)
     facts = ["doc_id", "next_id", "n_chars", "edited_sha256"]
-    both = edited_texts(_one_text(docs)).select("doc_id", "next_id", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), F.explode(F.map_from_arrays(F.array(F.lit(0), F.lit(1)), F.array("text", "edited"))).alias("v", "t"))
+    both = edited_texts(_one_text(docs), work, rows).select("doc_id", "next_id", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), F.explode(F.map_from_arrays(F.array(F.lit(0), F.lit(1)), F.array("text", "edited"))).alias("v", "t"))
     votes = fingerprints(both, [*facts, "v"], "t", width)
     pick = lambda v: F.max(F.when(F.col("v") == v, F.col("fp")))
     prints = work.put(votes.groupBy(*facts).agg(pick(0).alias("fp"), pick(1).alias("fp_edited")), "prints", rows, exchange=True)
     classes = prints.groupBy("fp").agg(F.count(F.lit(1)).alias("size"))
-    pairs = within_radius(classes.select("fp"), radius, blocks)
-    sides = pairs.select(F.explode(F.array(F.struct(F.col("a").alias("fp"), F.col("b").alias("other")), F.struct(F.col("b").alias("fp"), F.col("a").alias("other")))).alias("e")).select("e.fp", "e.other")
-    others = sides.join(classes.select(F.col("fp").alias("other"), "size"), "other").groupBy("fp").agg(F.sum("size").alias("others"))
+    # the number of documents behind a fingerprint travels with it, and pairs are summed where they are found
+    pairs = within_radius(classes, radius, blocks)
+    sides = pairs.select(F.explode(F.array(F.struct(F.col("a").alias("fp"), F.col("size_b").alias("n")), F.struct(F.col("b").alias("fp"), F.col("size_a").alias("n")))).alias("e"))
+    others = sides.groupBy(F.col("e.fp").alias("fp")).agg(F.sum("e.n").alias("others"))
     near = classes.join(others, "fp", "left").select("fp", (F.col("size") - 1 + F.coalesce("others", F.lit(0))).alias("n_near"))
     joined = prints.join(prints.select(F.col("doc_id").alias("next_id"), F.col("fp").alias("fp_next")), "next_id").join(near, "fp")
     report = joined.select(
