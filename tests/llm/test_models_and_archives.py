@@ -59,10 +59,32 @@ def test_quality_held_out(spark):
     rows = queries.op6_quality_cotraining(spark, LARGE).collect()
     assert len(rows) == 10000
     pairs = [(y, r.predicted) for y, r in _labelled(spark, rows, "quality")]
+    for r in rows:
+        assert all(0 <= p <= 1 for p in (r.text_score, r.meta_score, r.score)) and r.predicted == (r.score >= 0.5)
     print("quality", sum(a == b for a, b in pairs) / len(pairs), sum(a == b == 0 for a, b in pairs), sum(a == 0 for a, _ in pairs))
     assert sum(a == b for a, b in pairs) / len(pairs) > 0.93
 
 
+def test_views_label_for_each_other(spark):
+    """Text and source both tell the class; few rows are labelled, and a fifth of the texts tells nothing."""
+    rng = random.Random(8)
+    docs, labels = [], []
+    for i in range(3000):
+        good = rng.random() < 0.6
+        text = " ".join(rng.choice(["plain", "sound", "clear"] if good else ["junk###", "spam$$", "zz%%%"]) for _ in range(30)) if i < 2400 else "neutral words only"
+        docs.append((i, text, "en", f"{'good' if good else 'bad'}{rng.randrange(3)}", len(text)))
+        if i < 300:
+            labels.append((i, int(good)))
+    df = spark.createDataFrame(docs, "doc_id long, text string, lang string, source string, n_chars long")
+    model = train_quality(spark, df, spark.createDataFrame(labels, "doc_id long, quality int"))
+    assert all(sum(map(sum, turn)) > 2000 for turn in model.handed)  # of 2700 and more without a label, from both views
+    got = {r.row.doc_id: r for r in score_quality(spark, df, model).collect()}
+    for i, text, _, source, _ in docs:
+        assert (got[i].meta_score >= 0.5) == source.startswith("good") and (i >= 2400 or (got[i].score >= 0.5) == source.startswith("good"))
+    only = train_quality(spark, df, spark.createDataFrame(labels, "doc_id long, quality int"), rounds=0)
+    assert only.handed == [] and any((a != b).any() for a, b in zip(only.tables, model.tables))
+
+
 def test_models_on_odd_tables(spark):
     df = spark.createDataFrame([(1, None, None, None, None, 1.0), (2, "", "en", "s", 0, 1.0), (None, "some text", "en", "s", 9, 1.0), (3, "x" * 50000, "fr", "t", 50000, 1.0), (3, "x", "fr", "t", 1, 2.0)], "doc_id long, text string, lang string, source string, n_chars long, score double")
     for labels in (spark.createDataFrame([], "doc_id long, toxic int, quality int"), spark.createDataFrame([(1, 1, 1), (1, 1, 1), (None, 0, 0), (3, 0, 0), (2, None, None)], "doc_id long, toxic int, quality int")):

@@ -1,15 +1,15 @@
 """Quality by co-training: one classifier sees the text, the other the page's metadata, and each labels for the other.
 
-Fits use bounded samples: ``most_labelled`` labelled and ``pool`` unlabelled rows, taken by the smallest hashes of doc_id.
-In every round both views are fitted, and each hands its most confident rows of the pool to the other. Each view is then
-calibrated on labelled rows that neither was fitted on, and both are combined there. All documents are scored.
+The text view is naive Bayes over the words, word pairs and runs of character kinds that a text has; the metadata view is naive
+Bayes over language, source and recorded size. Neither sees anything of the other's columns. Both learn from sums of
+counts alone, so a round is one pass over the whole table: every document without a label that one view is sure of adds its features, under
+that label, to the counts of the other view. Only the labelled rows that a fit starts from are a bounded sample
+(``most_labelled``). They are dealt into three: counts, calibration of the views, and combination of the calibrated views.
 """
 
 from __future__ import annotations
 
-import math
 import zlib
-from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -17,154 +17,258 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import Workspace, small_batches, texts
 from .linear import DenseRows, fit_logistic, sigmoid
+from .rolling import Words, grouped
 
-TEXT_WIDTH, META_WIDTH = 34, 84
-_LANGS, _SOURCES = 16, 64
-
-
-def text_view(text: str) -> np.ndarray:
-    """Measures of a whole text: sizes, kinds of characters, repetition of words, pairs and lines; and their squares."""
-    raw = text.encode()
-    counts = np.bincount(np.frombuffer(raw, dtype=np.uint8), minlength=256) if raw else np.zeros(256)
-    n = max(len(raw), 1)
-    words = text.split()
-    m = max(len(words), 1)
-    often = Counter(words)
-    lines = [x for x in text.split("\n") if x.strip()]
-    share = lambda chars: float(sum(counts[c] for c in chars)) / n
-    values = [
-        math.log1p(len(raw)),
-        math.log1p(len(words)),
-        sum(map(len, words)) / m / 10,
-        float(counts[65:91].sum()) / n,
-        float(counts[97:123].sum()) / n,
-        float(counts[48:58].sum()) / n,
-        float(counts[128:].sum()) / n,
-        share(b".,;:'\"?()-"),
-        share(b"!#$%&*+/<=>@[\\]^_`{|}~"),
-        share(b" "),
-        share(b"\n\t\r"),
-        len(often) / m,
-        (max(often.values()) if often else 0) / m,
-        sum(a == b for a, b in zip(words, words[1:])) / m,
-        1 - len(set(zip(words, words[1:]))) / max(len(words) - 1, 1),
-        1 - len(set(lines)) / max(len(lines), 1),
-        sum(not w[-1].isalnum() and w[-1] not in ".,;:'\"?)" for w in words) / m,
-    ]
-    return np.array(values + [v * v for v in values])
-
-
-def meta_view(lang: str | None, source: str | None, n_chars: int | None) -> np.ndarray:
-    """Hashed language and source, and the recorded size; nothing of the text itself."""
-    out = np.zeros(META_WIDTH)
-    out[zlib.crc32((lang or "").encode()) % _LANGS] = 1
-    out[_LANGS + zlib.crc32((source or "").encode()) % _SOURCES] = 1
-    size = math.log1p(max(n_chars or 0, 0)) / 10
-    out[-4:] = size, size * size, float(n_chars is None), float(not n_chars)
-    return out
+SHAPE_BITS, WORD_BITS, META_BITS = 14, 16, 14
+BUFFER = 1 << 19
+SHAPE = 5  # character kinds in a run
+SMOOTH = 0.5
+COLUMNS = ("text", "lang", "source", "n_chars")
+
+
+def _kinds() -> bytes:
+    """Letters and all bytes beyond ASCII are one kind, digits one and blanks one; other characters stand for themselves."""
+    out = bytearray(range(256))
+    for c in range(256):
+        if c >= 128 or chr(c).isalpha():
+            out[c] = ord("a")
+        elif chr(c).isdigit():
+            out[c] = ord("0")
+        elif chr(c) in " \t\r\x0b\f":
+            out[c] = ord(" ")
+    return bytes(out)
+
+
+KINDS = _kinds()
+LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
+
+
+def shape_features(some: list[bytes]) -> list[np.ndarray]:
+    """For each text the bucket of each run of ``SHAPE`` character kinds."""
+    a = np.frombuffer(b"".join(some).translate(KINDS), dtype=np.uint8).astype(np.uint64)
+    n = max(len(a) - SHAPE + 1, 0)
+    h = np.zeros(n, dtype=np.uint64)
+    for j in range(SHAPE):
+        h = (h ^ a[j : j + n]) * np.uint64(0x100000001B3)
+    h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    h = (h >> np.uint64(64 - SHAPE_BITS)).astype(np.int64)
+    ends = np.cumsum([len(x) for x in some])
+    return [h[e - len(x) : max(e - SHAPE + 1, e - len(x))] for e, x in zip(ends, some)]
+
+
+def word_features(some: list[bytes]) -> list[np.ndarray]:
+    """For each text the bucket of each word and each pair of words."""
+    words = Words([x.translate(LOWER).split() for x in some])
+    hashes = words.hashes()
+    place, pairs = words.windows(hashes, 2)
+    ones, twos = ((h >> np.uint64(64 - WORD_BITS)).astype(np.int64) for h in (hashes, pairs))
+    cuts = np.searchsorted(place, words.first)
+    return [np.concatenate([ones[a:b], twos[c:d]]) for a, b, c, d in zip(words.first, words.first[1:], cuts, cuts[1:])]
+
+
+def meta_features(lang, source, n_chars) -> np.ndarray:
+    """Buckets of the language, the source, both together, and the recorded size by powers of two."""
+    size = -1 if n_chars is None else int(max(n_chars, 0)).bit_length()
+    return np.array([zlib.crc32(repr(x).encode()) >> (32 - META_BITS) for x in (("lang", lang), ("source", source), ("both", lang, source), ("size", size))], dtype=np.int64)
+
+
+#: name, bits and view of the groups of features.
+GROUPS = (("shape", SHAPE_BITS, "text"), ("word", WORD_BITS, "text"), ("meta", META_BITS, "meta"))
+VIEWS = ("text", "meta")
+
+
+def features(rows):
+    """Distinct buckets of each document (text, lang, source, n_chars), group by group, found without sorting them."""
+    marks = [np.zeros(1 << bits, dtype=bool) for _, bits, _ in GROUPS]
+
+    def distinct(seen: np.ndarray, found: np.ndarray) -> np.ndarray:
+        if len(found) < 64:
+            return np.unique(found)
+        seen[found] = True
+        out = np.flatnonzero(seen)
+        seen[out] = False
+        return out
+
+    for some in grouped(rows, lambda r: len(r[0]), BUFFER):
+        raw = [r[0] for r in some]
+        for r, shape, word in zip(some, shape_features(raw), word_features(raw)):
+            yield [distinct(m, f) for m, f in zip(marks, (shape, word, meta_features(*r[1:])))]
+
+
+def no_counts() -> list[np.ndarray]:
+    return [np.zeros((2, 1 << bits), dtype=np.float64) for _, bits, _ in GROUPS]
+
+
+def ratios(counts: list[np.ndarray]) -> list[np.ndarray]:
+    """Log ratio of each feature's smoothed share in good and in other documents."""
+    shares = [np.log(c + SMOOTH) - np.log(c.sum(axis=1, keepdims=True) + SMOOTH * c.shape[1]) for c in counts]
+    return [(s[1] - s[0]).astype(np.float32) for s in shares]
+
+
+def margins(tables: list[np.ndarray], found: list[np.ndarray]) -> tuple[float, ...]:
+    """Mean log ratio of the features of each group; 0 for a group without any."""
+    return tuple(float(t[f].mean(dtype=np.float64)) if len(f) else 0.0 for t, f in zip(tables, found))
 
 
 @dataclass
-class View:
+class Calibrated:
+    """Logistic regression on the margins of a view's groups."""
+
+    groups: tuple
     mean: np.ndarray
     scale: np.ndarray
     weights: np.ndarray
     intercept: float
-    slope: float = 1.0
-    shift: float = 0.0
 
     @classmethod
-    def fit(cls, x, y, l2):
-        mean, scale = (x.mean(axis=0), x.std(axis=0)) if len(x) else (np.zeros(x.shape[1]), np.ones(x.shape[1]))
+    def fit(cls, view: str, x: np.ndarray, y: np.ndarray, l2: float = 1e-3):
+        groups = tuple(i for i, g in enumerate(GROUPS) if g[2] == view)
+        x = x[:, groups]
+        mean, scale = (x.mean(axis=0), x.std(axis=0)) if len(x) else (np.zeros(len(groups)), np.ones(len(groups)))
         scale[scale < 1e-9] = 1.0
-        w, b = fit_logistic(DenseRows((x - mean) / scale), y, x.shape[1], l2)
-        return cls(mean, scale, w, b)
-
-    def margin(self, x):
-        return ((x - self.mean) / self.scale) @ self.weights + self.intercept
-
-    def calibrate(self, x, y):
-        w, b = fit_logistic(DenseRows(self.margin(x)[:, None]), y, 1, 1e-6)
-        self.slope, self.shift = float(w[0]), b
+        w, b = fit_logistic(DenseRows((x - mean) / scale), y, len(groups), l2)
+        return cls(groups, mean, scale, w, b)
 
-    def logit(self, x):
-        return self.slope * self.margin(x) + self.shift
+    def logit(self, x: np.ndarray) -> np.ndarray:
+        return ((np.atleast_2d(x)[:, self.groups] - self.mean) / self.scale) @ self.weights + self.intercept
 
 
 @dataclass
 class QualityModel:
-    text: View
-    meta: View
+    tables: list
+    text: Calibrated
+    meta: Calibrated
     combine: np.ndarray
     intercept: float
-    handed: list  # rows that each view labelled for the other, by round
+    handed: list  # for each round: documents that the text view, and the metadata view, called (not good, good) for the other
 
-    def score(self, xt, xm):
-        a, b = self.text.logit(xt), self.meta.logit(xm)
+    def score(self, x: np.ndarray):
+        a, b = self.text.logit(x), self.meta.logit(x)
         return sigmoid(a), sigmoid(b), sigmoid(np.column_stack([a, b]) @ self.combine + self.intercept)
 
 
-def co_train(xt, xm, y, pool_t, pool_m, fresh_t, fresh_m, fresh_y, rounds: int = 4, per_round: int = 400, sure: float = 0.9, l2: float = 1e-3) -> QualityModel:
-    """``x*``, ``y``: labelled rows in both views; ``pool_*``: rows without a label; ``fresh_*``: rows to calibrate on."""
-    own = {"text": (xt, y), "meta": (xm, y)}
-    data = {"text": pool_t, "meta": pool_m}
-    left = np.ones(len(pool_t), dtype=bool)
-    handed = []
-    share = float(y.mean()) if len(y) else 0.5
-    for _ in range(rounds):
-        views = {k: View.fit(*own[k], l2) for k in own}
-        moved = []
-        for name, other in (("text", "meta"), ("meta", "text")):
-            p = sigmoid(views[name].margin(data[name])) if len(pool_t) else np.zeros(0)
-            for label, sureness, most in ((1.0, p, round(per_round * share)), (0.0, 1 - p, per_round - round(per_round * share))):
-                rows = np.flatnonzero(left & (sureness >= sure))
-                rows = rows[np.argsort(-sureness[rows], kind="stable")][:most]
-                left[rows] = False
-                x, t = own[other]
-                own[other] = np.vstack([x, data[other][rows]]), np.concatenate([t, np.full(len(rows), label)])
-                moved.append(len(rows))
-        handed.append(moved)
-        if not any(moved):
-            break
-    views = {k: View.fit(*own[k], l2) for k in own}
-    views["text"].calibrate(fresh_t, fresh_y)
-    views["meta"].calibrate(fresh_m, fresh_y)
-    logits = np.column_stack([views["text"].logit(fresh_t), views["meta"].logit(fresh_m)])
-    w, b = fit_logistic(DenseRows(logits), fresh_y, 2, 1e-4)
-    return QualityModel(views["text"], views["meta"], w, b, handed)
+def _rows(batch, first: int = 0):
+    return zip(texts(batch.column(first)), *[batch.column(first + i).to_pylist() for i in (1, 2, 3)])
+
+
+_SUMS = "grp int, label int, bucket long, n long"
 
 
-def _views(batches):
+def _emit(counts, documents):
+    """Non-zero counts, and under group -1 - view the number of documents."""
+    out = [(g, label, np.flatnonzero(counts[g][label])) for g in range(len(GROUPS)) for label in (0, 1)]
+    parts = [(np.full(len(b), g), np.full(len(b), label), b, counts[g][label][b].astype(np.int64)) for g, label, b in out]
+    parts += [(np.array([-1 - v] * 2), np.array([0, 1]), np.zeros(2, dtype=np.int64), documents[v]) for v in range(2)]
+    columns = [np.concatenate(c) for c in zip(*parts)]
+    types = (pa.int32(), pa.int32(), pa.int64(), pa.int64())
+    yield pa.RecordBatch.from_arrays([pa.array(c.astype(t.to_pandas_dtype()), t) for c, t in zip(columns, types)], names=[x.split()[0] for x in _SUMS.split(", ")])
+
+
+def _label_counts(batches):
+    """(text, lang, source, n_chars, quality) to the counts of both views."""
+    counts, documents = no_counts(), np.zeros((2, 2), dtype=np.int64)
     for batch in batches:
-        rows = list(zip(*[c.to_pylist() for c in batch.columns[1:5]]))
-        t = [text_view(r[0] or "") for r in rows]
-        m = [meta_view(*r[1:]) for r in rows]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(t, pa.list_(pa.float64())), pa.array(m, pa.list_(pa.float64())), batch.column(5)], names=["doc_id", "t", "m", "quality"])
+        for found, y in zip(features(_rows(batch)), batch.column(4).to_pylist()):
+            for c, f in zip(counts, found):
+                c[y, f] += 1
+            documents[:, y] += 1
+    yield from _emit(counts, documents)
+
+
+def _handing(shared, sure: float):
+    """(text, lang, source, n_chars) of documents without a label to the counts that each view gets from the other."""
+
+    def run(batches):
+        tables, views = shared.value
+        counts, documents = no_counts(), np.zeros((2, 2), dtype=np.int64)
+        for batch in batches:
+            for found in features(_rows(batch)):
+                x = np.array([margins(tables, found)])
+                for v, view in enumerate(VIEWS):
+                    p = float(sigmoid(views[v].logit(x))[0])
+                    if max(p, 1 - p) < sure:
+                        continue
+                    y = int(p >= 0.5)
+                    documents[v, y] += 1
+                    for g, (_, _, owner) in enumerate(GROUPS):
+                        if owner != view:
+                            counts[g][y, found[g]] += 1
+        yield from _emit(counts, documents)
+
+    return run
 
 
-def train_quality(spark, docs: DataFrame, labels: DataFrame, most_labelled: int = 12_000, pool: int = 8_000, rounds: int = 4) -> QualityModel:
-    """Learns from labelled rows that are not held out (crc32 of doc_id mod 4 is 2); a fifth of them calibrates."""
+def _collected(sums: DataFrame) -> tuple[list[np.ndarray], np.ndarray]:
+    """Counts and documents from ``_SUMS``: as many rows as there are buckets, whatever the table's size."""
+    rows = sums.groupBy("grp", "label", "bucket").agg(F.sum("n").alias("n")).toArrow()
+    g, label, bucket, n = (rows.column(i).to_numpy() for i in range(4))
+    counts, documents = no_counts(), np.zeros((2, 2))
+    for i, c in enumerate(counts):
+        some = g == i
+        c[label[some], bucket[some]] = n[some]
+    for v in range(2):
+        some = g == -1 - v
+        documents[v, label[some]] = n[some]
+    return counts, documents
+
+
+def _margins(shared):
+    def run(batches):
+        tables = shared.value
+        for batch in batches:
+            x = np.array([margins(tables, found) for found in features(_rows(batch))]).reshape(-1, len(GROUPS))
+            yield pa.RecordBatch.from_arrays([pa.array(list(x), pa.list_(pa.float64())), batch.column(4), batch.column(5)], names=["x", "quality", "fold"])
+
+    return run
+
+
+def train_quality(spark, docs: DataFrame, labels: DataFrame, most_labelled: int = 12_000, rounds: int = 2, sure: float = 0.95, trust: float = 1.0) -> QualityModel:
+    """Learns from at most ``most_labelled`` labelled rows that are not held out (crc32 of doc_id mod 4 is 2), taken by the smallest
+    hashes of doc_id, and from all other rows of ``docs``. Documents a view is ``sure`` of count for the other view; all that are handed
+    over in a class weigh at most ``trust`` times what the labelled ones of that class do. Repeated labels count once,
+    null labels not at all. Without labels every score is a half."""
     from .toxicity import held_out
 
+    small_batches(spark)
+    work = Workspace(spark, "quality")
     known = labels.where("doc_id is not null and quality in (0, 1)").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("quality").cast("int").alias("quality"))
     picked = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_labelled)
-    ids = docs.select("doc_id").where("doc_id is not null").distinct()
-    plain = ids.join(labels.select("doc_id"), "doc_id", "left_anti").orderBy(F.xxhash64("doc_id"), "doc_id").limit(pool)
-    wanted = picked.union(plain.select("doc_id", F.lit(None).cast("int")))  # bounded by most_labelled + pool
-    rows = docs.select("doc_id", "text", "lang", "source", "n_chars").join(F.broadcast(wanted), "doc_id").select("doc_id", "text", "lang", "source", "n_chars", "quality").mapInArrow(_views, "doc_id long, t array<double>, m array<double>, quality int").toPandas()
-    rows = rows.sort_values("doc_id", kind="stable")
-    t, m = (np.array(rows[c].tolist()).reshape(-1, k) for c, k in (("t", TEXT_WIDTH), ("m", META_WIDTH)))
-    y = rows.quality.to_numpy(dtype=float)
-    labelled, fold = ~np.isnan(y), np.array([zlib.crc32(f"fold {i}".encode()) % 5 == 0 for i in rows.doc_id], dtype=bool)
-    fit, fresh, free = labelled & ~fold, labelled & fold, ~labelled
-    return co_train(t[fit], m[fit], y[fit], t[free], m[free], t[fresh], m[fresh], y[fresh], rounds)
+    picked = work.put(picked.select("doc_id", "quality", (F.crc32(F.concat(F.lit("fold "), F.col("doc_id").cast("string")).cast("binary")) % 5).cast("int").alias("fold")), "picked")
+    plain = docs.select("doc_id", *COLUMNS)
+    # both joins broadcast at most most_labelled rows
+    sample = work.put(plain.join(F.broadcast(picked), "doc_id").select(*COLUMNS, "quality", "fold"), "sample", most_labelled, exchange=True, each=2_500)
+    pool = plain.join(F.broadcast(picked.select("doc_id")), "doc_id", "left_anti").select(*COLUMNS)
+    base, labelled = _collected(sample.where("fold < 3").select(*COLUMNS, "quality").mapInArrow(_label_counts, _SUMS))
+    fresh = sample.where("fold >= 3")
+    counts, handed = base, []
+    for turn in range(rounds + 1):
+        tables = ratios(counts)
+        rows = fresh.mapInArrow(_margins(spark.sparkContext.broadcast(tables)), "x array<double>, quality int, fold int").toPandas()
+        x, y, fold = np.array(rows.x.tolist()).reshape(-1, len(GROUPS)), rows.quality.to_numpy(dtype=float), rows.fold.to_numpy()
+        order = np.lexsort((*x.T, y))  # rows come in any order
+        x, y, fold = x[order], y[order], fold[order]
+        views = [Calibrated.fit(v, x[fold == 3], y[fold == 3]) for v in VIEWS]
+        if turn == rounds:
+            break
+        more, documents = _collected(pool.mapInArrow(_handing(spark.sparkContext.broadcast((tables, views)), sure), _SUMS))
+        handed.append(documents.astype(int).tolist())
+        # what the text view called weighs in the metadata view's counts, and the other way round
+        weight = np.minimum(1.0, trust * labelled[0] / np.maximum(documents, 1))
+        counts = [b + m * weight[1 - VIEWS.index(owner)][:, None] for b, m, (_, _, owner) in zip(base, more, GROUPS)]
+    logits = np.column_stack([v.logit(x[fold == 4]) for v in views]) if len(x) else np.zeros((0, 2))
+    w, b = fit_logistic(DenseRows(logits), y[fold == 4], 2, 1e-4)
+    work.drop()
+    return QualityModel(tables, *views, w, b, handed)
 
 
 def score_quality(spark, docs: DataFrame, model: QualityModel) -> DataFrame:
-    """Every column of ``docs`` in a struct ``row``, and text_score, meta_score, score (0 to 1, higher: better)."""
+    """Every column of ``docs`` in a struct ``row``, and text_score, meta_score, score (0 to 1, higher: better). Null text counts
+    as empty, and other nulls are values of their own."""
     from pyspark.sql.types import DoubleType, StructField, StructType
 
+    small_batches(spark)
     shared = spark.sparkContext.broadcast(model)
     row_type = StructType([StructField(f.name, f.dataType, True) for f in docs.schema])
     schema = StructType([StructField("row", row_type), *[StructField(c, DoubleType()) for c in ("text_score", "meta_score", "score")]])
@@ -173,9 +277,8 @@ def score_quality(spark, docs: DataFrame, model: QualityModel) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            rows = list(zip(*[c.to_pylist() for c in batch.columns[:4]]))
-            found = shared.value.score(np.array([text_view(r[0] or "") for r in rows]), np.array([meta_view(*r[1:]) for r in rows]))
-            yield pa.RecordBatch.from_arrays([batch.column(4), *[pa.array(x, pa.float64()) for x in found]], names=["row", "text_score", "meta_score", "score"])
+            x = np.array([margins(shared.value.tables, found) for found in features(_rows(batch))])
+            yield pa.RecordBatch.from_arrays([batch.column(4), *[pa.array(v, pa.float64()) for v in shared.value.score(x)]], names=["row", "text_score", "meta_score", "score"])
 
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
-    return docs.select(*[F.col(c).alias(c) for c in ("text", "lang", "source", "n_chars")], row).mapInArrow(run, schema)
+    return docs.select(*[F.col(c).alias(c) for c in COLUMNS], row).mapInArrow(run, schema)
