@@ -68,7 +68,7 @@ def op6_quality_cotraining(spark, sf_dir):
 
 def op7_warc(spark, sf_dir):
     found = capture_histories(spark, table(spark, sf_dir, "pages"))
-    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "urlkey", "timestamp", "history_order")
 
 
 def op8_secret_scan(spark, sf_dir):
@@ -130,7 +130,7 @@ SELECT w.doc_id, CAST(len(w.w) AS BIGINT) AS n_words, CAST(coalesce(l.n_removed,
 FROM words w LEFT JOIN lost l USING (doc_id)
 """
 
-#: Base32 from the hexadecimal SHA-1: each five digits make four letters.
+#: Base32 from the hexadecimal SHA-1: each five digits make four letters. The order of captures is that of their sorted keys.
 _OP7 = """
 WITH paid AS (SELECT page_id, encode(coalesce(html, '')) AS b FROM pages),
 hashed AS (SELECT page_id, CAST(octet_length(b) AS BIGINT) AS payload_bytes, sha1(b) AS h FROM paid),
@@ -138,10 +138,19 @@ named AS (
   SELECT page_id, payload_bytes, list_aggregate(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
     CAST(((CAST('0x' || substr(h, CAST((i // 4) * 5 + 1 AS BIGINT), 5) AS BIGINT) >> CAST((3 - i % 4) * 5 AS INTEGER)) & 31) + 1 AS BIGINT), 1)), 'string_agg', '') AS payload_digest
   FROM hashed
-), heads AS (SELECT payload_digest, max(page_id) AS head FROM named GROUP BY payload_digest)
+), heads AS (SELECT payload_digest, max(page_id) AS head FROM named GROUP BY payload_digest),
+parts AS (
+  SELECT page_id, regexp_extract(u, '^[a-z][a-z0-9+.-]*://([^/?#]*)', 1) AS host, regexp_extract(u, '^[a-z][a-z0-9+.-]*://[^/?#]*([^?#]*)', 1) AS path, regexp_extract(u, '(\\?[^#]*)', 1) AS query
+  FROM (SELECT page_id, lower(trim(coalesce(url, ''))) AS u FROM pages)
+), keys AS (
+  SELECT page_id, array_to_string(list_reverse(string_split(regexp_replace(regexp_replace(regexp_replace(host, '^.*@', ''), ':[0-9]*$', ''), '^www[0-9]*\\.', ''), '.')), ',') || ')'
+    || CASE WHEN path = '' THEN '/' ELSE path END || query AS urlkey,
+    strftime(TIMESTAMP '2024-01-01 00:00:00' + to_seconds(page_id % 2147483648), '%Y%m%d%H%M%S') AS timestamp
+  FROM parts
+), ordered AS (SELECT page_id, urlkey, timestamp, row_number() OVER (ORDER BY urlkey, timestamp, page_id) - 1 AS history_order FROM keys)
 SELECT n.page_id, n.payload_bytes, n.payload_digest, CASE WHEN n.page_id = h.head THEN 'response' ELSE 'revisit' END AS record_type,
-  CASE WHEN n.page_id = h.head THEN NULL ELSE h.head END AS refers_to
-FROM named n JOIN heads h USING (payload_digest)
+  CASE WHEN n.page_id = h.head THEN NULL ELSE h.head END AS refers_to, o.urlkey, o.timestamp, CAST(o.history_order AS BIGINT) AS history_order
+FROM named n JOIN heads h USING (payload_digest) JOIN ordered o USING (page_id)
 """
 
 ORACLES: dict[str, str] = {"op7_warc": _OP7, "op2_decontamination": _OP2, "op4_substring_dedup": _OP4}

@@ -103,11 +103,13 @@ def _writer(folder: str, most_bytes: int, level: int):
         held, size, done = [], 0, []
 
         def flush():
-            # a repeated task writes the same archive again and puts it in place by one rename
+            # a repeated task writes the same archive again; not every store renames onto a name that is there
             name = f"{base}/part-{part:06d}-{len(done):04d}.warc.gz"
             with system.open_output_stream(f"{base}/.tmp-{part}-{attempt}", compression=None) as out:
                 for x in held:
                     out.write(x)
+            if system.get_file_info(name).type != fs.FileType.NotFound:
+                system.delete_file(name)
             system.move(f"{base}/.tmp-{part}-{attempt}", name)
             done.append(name)
 
@@ -134,14 +136,20 @@ def write_archives(pages: DataFrame, folder: str, most_bytes: int = 8 << 20, lev
     return row_count(rows.mapInArrow(_writer(folder, most_bytes, level), "archive string"))
 
 
-def resolve_revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
+LISTED = 1 << 19  # most repeated payloads that are broadcast
+
+
+def resolve_revisits(pages: DataFrame, least_bytes: int = 0, work: Workspace | None = None) -> DataFrame:
     """``pages`` with refers_to: for payloads of ``least_bytes`` at least, the largest page_id with an equal payload
-    (null for that page itself). Payloads are compared by SHA-1 and size, summed up before any shuffle."""
+    (null for that page itself). Payloads are compared by SHA-1 and size, summed up before any shuffle; pages themselves are
+    shuffled only where more payloads repeat than can be broadcast."""
+    work = work or Workspace(pages.sparkSession, "warc")
     html = F.coalesce("html", F.lit(""))
     keyed = pages.select("page_id", F.sha1(html.cast("binary")).alias("_d"), F.octet_length(html).alias("_n"))
     heads = keyed.where(F.col("_n") >= least_bytes).groupBy("_d", "_n").agg(F.max("page_id").alias("_head"), F.count(F.lit(1)).alias("_k")).where("_k > 1 and _head is not null")
+    heads = work.put(heads.select("_d", "_n", "_head"), "heads")
     rows = pages.select("page_id", "url", "html").withColumn("_d", F.sha1(html.cast("binary"))).withColumn("_n", F.octet_length(html))
-    joined = rows.join(heads, ["_d", "_n"], "left")
+    joined = rows.join(F.broadcast(heads) if row_count(heads) <= LISTED else heads, ["_d", "_n"], "left")
     return joined.select("page_id", "url", "html", F.when(~F.col("_head").eqNullSafe(F.col("page_id")), F.col("_head")).alias("refers_to"))
 
 
@@ -243,16 +251,28 @@ def merge_runs(runs: DataFrame, each: int = 100_000) -> DataFrame:
     return ranged.sortWithinPartitions("run", "at").mapInArrow(_merger, RUN + ", history_order long")
 
 
+def numbered(merged: DataFrame) -> DataFrame:
+    """``merged`` with a history_order from 0 without gaps. The sizes of the key ranges are summed up, one row a range."""
+    from pyspark.sql import Window
+
+    part = F.shiftright("history_order", 33)
+    sizes = merged.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = sizes.select("part", before.alias("start"))
+    place = F.col("start") + F.col("history_order").bitwiseAND(F.lit((1 << 33) - 1))
+    return merged.withColumn("part", part).join(F.broadcast(starts), "part").withColumn("history_order", place.cast("long")).drop("part", "start")
+
+
 def capture_histories(spark, pages: DataFrame, least_bytes: int = 0, folder: str | None = None) -> DataFrame:
     """Archives ``pages`` (page_id, url, html), reads the archives back and returns their merged index, a row for each page.
 
     Null html is an empty payload and null url an empty URL. Of equal payloads the largest page_id is the response; rows
     that share that page_id are all responses, and rows without page_id revisit it. An empty table writes no archive and
-    gives no row. Other columns are ignored.
+    gives no row. Other columns are ignored. history_order numbers all captures by URL key, timestamp and page.
     """
     work = Workspace(spark, "warc")
     folder = folder or work.path("archives")
-    if not write_archives(resolve_revisits(pages, least_bytes), folder):
+    if not write_archives(resolve_revisits(pages, least_bytes, work), folder):
         return spark.createDataFrame([], RUN + ", history_order long")
     runs = work.put(index_runs(spark, folder), "runs")
-    return merge_runs(runs)
+    return numbered(work.put(merge_runs(runs), "merged"))
