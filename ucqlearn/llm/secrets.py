@@ -19,7 +19,7 @@ ASSIGN_LEAST, ACCESS_LEAST = 8, 16
 KINDS = ("assign", "access", "hex", "entropy")
 
 CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
-ALLOWED = (r"[a-z]+(?:[-_/][a-z]+)*", r"[A-Z]+(?:[-_/][A-Z]+)*", r"[A-Z]?[a-z]+", r"[=_/+-]+", r"[0-9]+", r"[0-9a-f]{8}-(?:[0-9a-f]{4}-){3}[0-9a-f]{12}")
+ALLOWED = (r"[a-z]+(?:[-_/][a-z]+)*", r"[A-Z]+(?:[-_/][A-Z]+)*", r"[A-Z]?[a-z]+", r"[=_/+-]+", r"[0-9a-f]{8}-(?:[0-9a-f]{4}-){3}[0-9a-f]{12}")
 
 
 @dataclass(frozen=True)
@@ -28,7 +28,7 @@ class EntropyRule:
     order and the first that holds all its characters is used; other strings count under the last."""
 
     window: int = 20
-    classes: tuple = (("digits", "0123456789", 3.0), ("hex", "0123456789abcdefABCDEF", 3.0), ("base32", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789=", 3.6), ("base36", "abcdefghijklmnopqrstuvwxyz0123456789", 3.6), ("base64", None, 3.6))
+    classes: tuple = (("digits", "0123456789", 2.9), ("hex", "0123456789abcdefABCDEF", 3.0), ("base32", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789=", 3.6), ("base36", "abcdefghijklmnopqrstuvwxyz0123456789", 3.6), ("base64", None, 3.6))
     mixed: int = 3  # kinds of characters (lower, upper, digit) that a base64 candidate must have
     allowed: tuple = field(default=ALLOWED)
 
@@ -86,13 +86,9 @@ class SecretScanner:
         return False
 
     def scan(self, text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]:
-        """Base spans, and all spans: an entropy span is added where no base span overlaps it."""
+        """Base spans, and all spans: those of suspicious candidates beside them, whether or not they overlap."""
         base = self.base(text)
-        more = []
-        for m in CANDIDATE.finditer(text):
-            if self.suspicious(m[0]) and not any(s < m.end() and m.start() < e for s, _, e in base):
-                more.append((m.start(), 3, m.end()))
-        return base, sorted(base + more)
+        return base, sorted(base + [(m.start(), 3, m.end()) for m in CANDIDATE.finditer(text) if self.suspicious(m[0])])
 
 
 def listed(spans: list[tuple[int, int, int]]) -> str:
