@@ -199,7 +199,7 @@ def test_net_gradient_by_differences(activation):
     rng = np.random.default_rng(0)
     model, x, g = MlpModel(3, 5, 2, activation), rng.normal(size=(7, 3)), rng.normal(size=(7, 2))
     theta = model.start(3) + 0.01
-    grad = model.row_gradients(theta, x, g).sum(axis=0)
+    grad = model.gradient_sum(theta, x, g)
     for i in range(model.size):
         e = np.zeros(model.size)
         e[i] = 1e-6
@@ -286,7 +286,7 @@ def test_label_noise(spark):
     noisy = privacy.noisy_labels(df, "y", "id", 2, 0.5, seed=1).withColumnRenamed("y", "z").join(df, "id")
     share = noisy.agg(F.avg((F.col("z") != F.col("y")).cast("double"))).first()[0]
     assert abs(share - privacy.flip_rate(0.5)) < 0.005 and abs(privacy.flip_rate(0.5) - 0.0713) < 1e-4
-    spread = privacy.noisy_labels(spark.range(40000).select("id", F.lit(0.0).alias("y")), "y", "id", 1, 0.5, seed=1, y_range=1.0).agg(F.stddev("y")).first()[0]
+    spread = privacy.noisy_labels(spark.range(40000).select("id", F.lit(0.0).alias("y")), "y", "id", 1, 0.5, seed=1, y_range=(-1.0, 1.0)).agg(F.stddev("y")).first()[0]
     assert abs(spread - 0.5) < 0.02
     with pytest.raises(ValueError):
         privacy.noisy_labels(df, "y", "id", 1, 0.5)

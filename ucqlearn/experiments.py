@@ -21,6 +21,8 @@ SCENARIOS = {
 #: Chosen from the printed ranges: learning rates 0.01 to 0.5, penalties 0.1 to 2.
 GRID_ETA, GRID_RHO = (0.01, 0.05, 0.1, 0.5), (0.1, 0.5, 1.0, 2.0)
 EPSILON, DELTA, CLIP, LABEL_STD = 1.0, 1e-5, 1.0, 0.5
+#: Public ranges that numeric labels are clipped to before they are noised: stars, and the planted score.
+RANGES = {"w0": (-4.0, 6.0), "w3": (1.0, 5.0), "w4": (1.0, 5.0)}
 
 
 def workload(spark, sf_dir: str, name: str, shards: int, label_std: float | None = None, seed: int = 0):
@@ -31,9 +33,8 @@ def workload(spark, sf_dir: str, name: str, shards: int, label_std: float | None
         (ucq, loss), models = workloads.WORKLOADS[name](spark, sf_dir, shards=shards), None
     if label_std is not None:
         t = ucq.label_table
-        # numbers: ratings and planted scores have a range of 4 or so; noise is scaled to it
         classes = {"accuracy": max(2, loss.classes), "rmse": 1}[loss.metric]
-        t.df = privacy.noisy_labels(t.df, t.label, t.row_id, classes, label_std, seed, y_range=4.0)
+        t.df = privacy.noisy_labels(t.df, t.label, t.row_id, classes, label_std, seed, y_range=RANGES.get(name))
     return ucq, loss, models
 
 

@@ -81,6 +81,12 @@ def hash_uniform(*parts) -> Column:
     return (F.conv(F.substring(digest, 1, 13), 16, 10).cast("double") + 0.5) / float(1 << 52)
 
 
+def hash_number(*parts) -> Column:
+    """A number below 2**60 from a digest of the parts; other engines can compute the same."""
+    cols = [p if isinstance(p, Column) else F.lit(str(p)) for p in parts]
+    return F.conv(F.substring(F.md5(F.concat_ws("|", *[c.cast("string") for c in cols]).cast("binary")), 1, 15), 16, 10).cast("long")
+
+
 def laplace_from_uniform(u: Column, std: float) -> Column:
     """Inverse distribution function of the Laplace law with the given standard deviation."""
     b = std / 2**0.5

@@ -18,22 +18,45 @@ def _batch_matrix(column: pa.Array, width: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(-1, width)
 
 
-def _sum_by_shard(df: DataFrame, width: int, work) -> dict[int, np.ndarray]:
-    """Partial sums of ``work(batch) -> (shards, rows x width)`` on every partition, added up by shard and place."""
+CHUNK = 1 << 14  # numbers in a row of partial sums
 
-    def run(batches):
+
+def _sum_by_shard(df: DataFrame, work) -> dict[int, np.ndarray]:
+    """Sums of ``work(batch) -> {shard: flat array}`` over all batches. Every partition makes one array a shard, cut into chunks;
+    equal chunks meet and are added up by tasks, so that the driver gets one array a shard, whatever the number of partitions."""
+
+    def partial(batches):
         total: dict[int, np.ndarray] = {}
         for batch in batches:
-            shards, values = work(batch)
-            for s in np.unique(shards):
-                total[int(s)] = total.get(int(s), 0) + values[shards == s].sum(axis=0)
+            for s, v in work(batch).items():
+                total[s] = total[s] + v if s in total else v
         for s, v in total.items():
-            yield pa.RecordBatch.from_arrays([pa.array([s] * width, pa.int32()), pa.array(range(width), pa.int32()), pa.array(v)], names=["shard", "i", "value"])
+            for at in range(0, len(v), CHUNK):
+                yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([at], pa.int32()), pa.array([v[at : at + CHUNK].astype(np.float64).tobytes()], pa.binary())], names=["shard", "at", "v"])
+
+    def added(batches):
+        total: dict[tuple, np.ndarray] = {}
+        for batch in batches:
+            for s, at, v in zip(*[c.to_pylist() for c in batch.columns]):
+                total[s, at] = total.get((s, at), 0) + np.frombuffer(v)
+        if total:
+            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in total], pa.int32()), pa.array([k[1] for k in total], pa.int32()), pa.array([v.tobytes() for v in total.values()], pa.binary())], names=["shard", "at", "v"])
+
+    schema = "shard int, at int, v binary"
+    parts: dict[int, dict] = {}
+    for r in df.mapInArrow(partial, schema).repartition("shard", "at").mapInArrow(added, schema).collect():
+        parts.setdefault(r.shard, {})[r.at] = np.frombuffer(bytes(r.v))
+    return {s: np.concatenate([p[at] for at in sorted(p)]) for s, p in parts.items()}
 
-    out: dict[int, np.ndarray] = {}
-    for r in df.mapInArrow(run, "shard int, i int, value double").groupBy("shard", "i").agg(F.sum("value").alias("value")).collect():
-        out.setdefault(r.shard, np.zeros(width))[r.i] = r.value
-    return out
+
+def _shards(batch):
+    """(shard, mask of its rows) in a batch whose first column is the shard."""
+    shards = batch.column(0).to_numpy()
+    return [(int(s), shards == s) for s in np.unique(shards)]
+
+
+def _factor(norms: np.ndarray, clip: float | None) -> np.ndarray:
+    return np.ones((len(norms), 1)) if clip is None else np.minimum(1.0, clip / np.maximum(norms, 1e-12))[:, None]
 
 
 @dataclass(frozen=True)
@@ -53,8 +76,10 @@ class LinearModel:
     def forward(self, theta, x):
         return None, None, x @ theta
 
-    def row_gradients(self, theta, x, g):
-        return (x[:, :, None] * g[:, None, :]).reshape(len(x), -1)
+    def gradient_sum(self, theta, x, g, clip: float | None = None) -> np.ndarray:
+        """Sum over rows of x outer g, each row's part of norm ``clip`` at most; a part's norm is |x| |g|, so no part is made."""
+        norms = np.sqrt(np.einsum("ij,ij->i", x, x) * np.einsum("ij,ij->i", g, g)) if clip is not None else np.zeros(len(x))
+        return (x.T @ (g * _factor(norms, clip))).reshape(-1)
 
     def predict(self, features: DataFrame, theta: np.ndarray) -> DataFrame:
         """rid, shard, u0..; ``features`` has rid, shard, x."""
@@ -83,10 +108,9 @@ class LinearModel:
 
             def work(batch):
                 x, c = _batch_matrix(batch.column(1), d), batch.column(2).to_numpy().astype(float)
-                rows = np.triu_indices(d)
-                return batch.column(0).to_numpy(), x[:, rows[0]] * x[:, rows[1]] * c[:, None]
+                return {s: ((x[at] * c[at, None]).T @ x[at]).reshape(-1) for s, at in _shards(batch)}
 
-            found = _sum_by_shard(weighted.select("shard", "x", "c"), len(pairs), work)
+            return {s: v.reshape(d, d) for s, v in _sum_by_shard(weighted.select("shard", "x", "c"), work).items()}
         out = {}
         for s, values in found.items():
             a = np.zeros((d, d))
@@ -132,14 +156,16 @@ class MlpModel:
         a = np.maximum(z, 0) if self.activation == "relu" else np.tanh(z)
         return z, a, a @ v + c
 
-    def row_gradients(self, theta, x, g):
-        """Gradient of sum(g * u) for each row, flat."""
+    def gradient_sum(self, theta, x, g, clip: float | None = None) -> np.ndarray:
+        """Sum over rows of the gradient of g * u, each row's of norm ``clip`` at most. A row's norm comes from the norms of
+        its layers' factors, so no row's gradient is made."""
         _, _, v, _ = self.split(theta)
         z, a, _ = self.forward(theta, x)
-        da = g @ v.T
-        dz = da * ((z > 0) if self.activation == "relu" else 1 - a * a)
-        n = len(x)
-        return np.concatenate([(x[:, :, None] * dz[:, None, :]).reshape(n, -1), dz, (a[:, :, None] * g[:, None, :]).reshape(n, -1), g], axis=1)
+        dz = (g @ v.T) * ((z > 0) if self.activation == "relu" else 1 - a * a)
+        square = lambda m: np.einsum("ij,ij->i", m, m)
+        f = _factor(np.sqrt((square(x) + 1) * square(dz) + (square(a) + 1) * square(g)), clip)
+        dz, g = dz * f, g * f
+        return np.concatenate([(x.T @ dz).reshape(-1), dz.sum(axis=0), (a.T @ g).reshape(-1), g.sum(axis=0)])
 
     def predict(self, features: DataFrame, theta: np.ndarray) -> DataFrame:
         d, k = self.d, self.classes
@@ -163,21 +189,17 @@ def row_gradient_sums(model, signal: DataFrame, theta, clip: float | None = None
     d, k = model.d, model.classes
 
     def work(batch):
-        shards, x = batch.column(0).to_numpy(), _batch_matrix(batch.column(1), d)
+        x = _batch_matrix(batch.column(1), d)
         g = np.column_stack([batch.column(2 + c).to_numpy() for c in range(k)])
-        out = np.zeros((len(x), model.size))
-        for s in np.unique(shards):
-            at = shards == s
-            own = theta[int(s)] if isinstance(theta, dict) else theta
-            signal_rows = g[at]
+        out = {}
+        for s, at in _shards(batch):
+            own = theta[s] if isinstance(theta, dict) else theta
+            rows = g[at]
             if rho:
-                signal_rows = signal_rows + rho * batch.column(2 + k).to_numpy()[at, None] * model.forward(own, x[at])[2]
-            rows = model.row_gradients(own, x[at], signal_rows)
-            if clip is not None:
-                rows = rows * np.minimum(1.0, clip / np.maximum(np.linalg.norm(rows, axis=1), 1e-12))[:, None]
-            out[at] = rows
-        return shards, out
+                rows = rows + rho * batch.column(2 + k).to_numpy()[at, None] * model.forward(own, x[at])[2]
+            out[s] = model.gradient_sum(own, x[at], rows, clip)
+        return out
 
     wanted = signal.select("shard", "x", *[f"g{c}" for c in range(k)], *(["c"] if rho else []))
     shape = model.start().shape
-    return {s: v.reshape(shape) for s, v in _sum_by_shard(wanted, model.size, work).items()}
+    return {s: v.reshape(shape) for s, v in _sum_by_shard(wanted, work).items()}

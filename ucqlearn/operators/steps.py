@@ -3,7 +3,7 @@ operator coordinates the shards of one table; the client operator works on a tab
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, replace
 from functools import reduce
 
 import numpy as np
@@ -35,7 +35,14 @@ class Problem:
     store: object
     n: int
     folded: bool = True
-    used: dict[str, int] = field(default_factory=dict)  # base rows in use, for the ledger
+    known: dict[str, int] | None = None  # base rows in use, once counted
+
+    @property
+    def used(self) -> dict[str, int]:
+        """Base rows in use by table. Counted when first asked for; fits count what they send as they go."""
+        if self.known is None:
+            self.known = {n: self.rowmap.select(f"r_{n}").distinct().count() for n in self.names} if self.folded else {n: self.n for n in self.names}
+        return self.known
 
     @property
     def names(self) -> list[str]:
@@ -115,21 +122,24 @@ class JoinOperator:
         return rows.groupBy(rid).agg(*[F.sum(x).alias(f"g{c}") for c, x in enumerate(columns)], F.count(F.lit(1)).alias("c"))
 
 
-def partial_gradients(received: dict[str, DataFrame], blocks: list[Block], thetas: dict, clip: float | None = None) -> dict[str, dict[int, np.ndarray]]:
+def partial_gradients(received: dict[str, DataFrame], blocks: list[Block], thetas: dict, clip: float | None = None, counts: dict[str, int] | None = None) -> dict[str, dict[int, np.ndarray]]:
     """Each table's gradient by shard. The small linear ones of all tables come from one Spark job: sums are made where the
-    rows are, and the driver gets a row for each shard."""
+    rows are, and the driver gets a row for each shard. ``counts`` gets the rows that each table received."""
+    counts = {} if counts is None else counts
     out: dict[str, dict[int, np.ndarray]] = {}
     together = [b for b in blocks if isinstance(b.model, LinearModel) and b.model.size <= UNROLL and clip is None]
     if together:
         parts = []
         for b in together:
-            sums = b.model.gradient_columns()
-            parts.append(received[b.name].groupBy("shard").agg(*sums).select(F.lit(b.name).alias("tbl"), "shard", F.array(*[f"s{i}_{c}" for i in range(b.model.d) for c in range(b.model.classes)]).alias("total")))
+            sums = [*b.model.gradient_columns(), F.count(F.lit(1)).alias("n")]
+            parts.append(received[b.name].groupBy("shard").agg(*sums).select(F.lit(b.name).alias("tbl"), "shard", F.array(*[f"s{i}_{c}" for i in range(b.model.d) for c in range(b.model.classes)]).alias("total"), "n"))
         for r in reduce(DataFrame.unionByName, parts).collect():
             b = next(b for b in together if b.name == r.tbl)
+            counts[b.name] = counts.get(b.name, 0) + r.n
             out.setdefault(b.name, {})[r.shard] = np.array(r.total).reshape(b.model.d, b.model.classes)
     for b in blocks:
         if b not in together:
+            counts[b.name] = received[b.name].count()
             out[b.name] = row_gradient_sums(b.model, received[b.name], thetas[b.name], clip)
     for b in blocks:
         out.setdefault(b.name, {})

@@ -1,20 +1,23 @@
-"""Batches and splits by arithmetic on the joined row's number, so that every engine and partitioning gives the same."""
+"""Batches and splits by digests of the joined row's number, so that every engine and partitioning gives the same.
+
+Split and batches use different streams of the digest, and every epoch draws its batches anew.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .mapping import PRIME
+from ..functions.columns import hash_number
 
 
 def batch_id(jid: Column, n_batches: int, seed: int = 0, epoch: int = 0) -> Column:
-    mixed = F.pmod(F.pmod(jid, F.lit(PRIME).cast("long")) * F.lit(48271).cast("long") + F.lit(seed + epoch * 7919).cast("long"), F.lit(PRIME).cast("long"))
-    return F.pmod(mixed, F.lit(n_batches).cast("long")).cast("int")
+    """A batch for each row, drawn independently for each seed and epoch."""
+    return F.pmod(hash_number("batch", seed, epoch, jid), F.lit(n_batches).cast("long")).cast("int")
 
 
 def is_test(jid: Column, share: int = 15) -> Column:
-    return F.pmod(F.pmod(jid, F.lit(PRIME).cast("long")) * F.lit(48271).cast("long") + F.lit(17).cast("long"), F.lit(100).cast("long")) < share
+    return F.pmod(hash_number("split", jid), F.lit(100).cast("long")) < share
 
 
 def split(rowmap: DataFrame, share: int = 15) -> tuple[DataFrame, DataFrame]:
@@ -23,9 +26,19 @@ def split(rowmap: DataFrame, share: int = 15) -> tuple[DataFrame, DataFrame]:
 
 
 def with_batches(rowmap: DataFrame, n_batches: int, seed: int = 0, epoch: int = 0) -> DataFrame:
+    """Every row in one batch, bid."""
     return rowmap.withColumn("bid", batch_id(F.col("jid"), n_batches, seed, epoch))
 
 
+def poisson_batches(rowmap: DataFrame, n_batches: int, seed: int = 0, epoch: int = 0) -> DataFrame:
+    """Each row in each batch with probability 1 / n_batches, independently of all else: what the accountant's amplification
+    by sampling asks for. A row comes in none, one or several batches; batches differ in size and may be empty."""
+    share = F.lit(int((1 << 63) / n_batches)).cast("long")
+    draw = lambda b: F.shiftrightunsigned(F.xxhash64(F.col("jid"), F.lit(seed), F.lit(epoch), b), 1) < share
+    rounds = F.filter(F.sequence(F.lit(0), F.lit(n_batches - 1)), draw)
+    return rowmap.withColumn("bid", F.explode(rounds))
+
+
 def alpha(rowmap: DataFrame, names: list[str]) -> DataFrame:
     """tbl, alpha: over all batches, how many different base rows each touches. ``rowmap`` has bid."""
     per = rowmap.groupBy("bid").agg(*[F.count_distinct(f"r_{n}").alias(n) for n in names]).agg(*[F.sum(n).alias(n) for n in names])

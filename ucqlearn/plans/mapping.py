@@ -8,7 +8,7 @@ from itertools import product
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.columns import hash_key
+from ..functions.columns import hash_key, hash_number
 from .ucq import SpecError, TableSpec, UcqSpec
 
 
@@ -29,7 +29,7 @@ def merge_extracts(parts: list[DataFrame], check: bool = False) -> DataFrame:
 
 
 def build_row_map(ucq: UcqSpec, extracts: dict[str, DataFrame] | None = None, hash_keys: bool = False, salt: str | None = None, broadcast_rows: int = 0) -> DataFrame:
-    """r_<table> for every table, y, and jid: a joined row's number below 2**31 - 1, made of its row ids, for batches and splits.
+    """r_<table> for every table, y, and jid: a number made of a joined row's ids, for batches and splits.
 
     Equi-joins of the extracts, from the label table on; the optimizer picks each join's strategy. Null keys join nothing.
     """
@@ -49,15 +49,10 @@ def build_row_map(ucq: UcqSpec, extracts: dict[str, DataFrame] | None = None, ha
     return out.select(joined_number([F.col(i) for i in ids]).alias("jid"), *ids, "y")
 
 
-PRIME = 2147483647
-
-
 def joined_number(ids):
-    """A number in [0, 2**31 - 1) from row ids; equal for equal ids in any engine."""
-    out = F.lit(0).cast("long")
-    for i in ids:
-        out = F.pmod(out * F.lit(31).cast("long") + F.pmod(i.cast("long"), F.lit(PRIME).cast("long")), F.lit(PRIME).cast("long"))
-    return out
+    """A number below 2**60 from row ids: equal for equal ids in any engine, and spread like a digest. Two joined rows may share one,
+    which makes them go to one batch and side of the split; nothing joins on it."""
+    return hash_number(*ids)
 
 
 def virtual_row_map(label: TableSpec, refers: dict[str, str]) -> DataFrame:
@@ -77,10 +72,10 @@ def fan_out(rowmap: DataFrame, name: str, table: TableSpec | None = None) -> Dat
 
 def fan_out_all(spark, rowmap: DataFrame, names: list[str]) -> DataFrame:
     """tbl, rid, c for all tables in one pass over the map (grouping sets)."""
-    rowmap.createOrReplaceTempView("_rowmap_sets")
-    ids = [f"r_{n}" for n in names]
-    case = " ".join(f"WHEN grouping({i}) = 0 THEN '{n}'" for n, i in zip(names, ids))
-    return spark.sql(f"SELECT CASE {case} END AS tbl, coalesce({', '.join(ids)}) AS rid, count(*) AS c FROM _rowmap_sets GROUP BY GROUPING SETS ({', '.join(f'({i})' for i in ids)})")
+    ids = [F.col(f"r_{n}") for n in names]
+    sets = rowmap.groupingSets([[i] for i in ids], *ids).agg(*[F.grouping(i).alias(f"g_{n}") for n, i in zip(names, ids)], F.count(F.lit(1)).alias("c"))
+    named = F.coalesce(*[F.when(F.col(f"g_{n}") == 0, F.lit(n)) for n in names])
+    return sets.select(named.alias("tbl"), F.coalesce(*ids).alias("rid"), "c")
 
 
 def reverse_map(rowmap: DataFrame, name: str, materialize: bool = False) -> DataFrame:

@@ -21,7 +21,7 @@ from ..operators.ledger import Ledger
 from ..operators.steps import Block, ClientOperator, JoinOperator, Problem, UnionOperator, partial_gradients
 from ..privacy import DpSpec, add_noise
 from . import mapping
-from .batches import with_batches
+from .batches import poisson_batches, with_batches
 from .ucq import SpecError, UcqSpec
 
 
@@ -42,7 +42,7 @@ class FitResult:
         return spark.createDataFrame(self.history, "method string, epoch int, split string, rows long, loss double, metric double")
 
 
-def make_problem(ucq: UcqSpec, loss=None, models: dict | None = None, store=None, rowmap: DataFrame | None = None, hash_keys: bool = False, salt: str | None = None, count_used: bool = True) -> Problem:
+def make_problem(ucq: UcqSpec, loss=None, models: dict | None = None, store=None, rowmap: DataFrame | None = None, hash_keys: bool = False, salt: str | None = None) -> Problem:
     """Maps the tables, writes the row map and counts it."""
     from ..sources.tables import ArtifactStore
 
@@ -61,21 +61,19 @@ def make_problem(ucq: UcqSpec, loss=None, models: dict | None = None, store=None
         else:
             model = models[t.name]
         blocks.append(Block(t.name, rows, model, t.shards))
-    return finish_problem(Problem(spark, blocks, rowmap, loss, store, 0), count_used)
+    return finish_problem(Problem(spark, blocks, rowmap, loss, store, 0))
 
 
-def finish_problem(problem: Problem, count_used: bool = True) -> Problem:
-    counts = [F.count(F.lit(1)).alias("n"), *([F.count_distinct(f"r_{n}").alias(n) for n in problem.names] if count_used and problem.folded else [])]
-    row = problem.rowmap.agg(*counts).first()
-    if not row.n:
+def finish_problem(problem: Problem) -> Problem:
+    n = problem.rowmap.agg(F.count(F.lit(1))).first()[0]
+    if not n:
         raise SpecError("the join is empty: there is nothing to train on")
-    used = {n: row[n] for n in problem.names} if count_used and problem.folded else {n: row.n for n in problem.names}
-    return replace(problem, n=row.n, used=used)
+    return replace(problem, n=n, known=None)
 
 
 def on_rows(problem: Problem, rowmap: DataFrame) -> Problem:
     """The same tables over some of the joined rows, such as a training split."""
-    return finish_problem(replace(problem, rowmap=rowmap), bool(problem.used))
+    return finish_problem(replace(problem, rowmap=rowmap))
 
 
 def slices(problem: Problem) -> Problem:
@@ -86,7 +84,7 @@ def slices(problem: Problem) -> Problem:
     joined = problem.store.write(problem.store.label("slices"), joined.withColumn("line", F.monotonically_increasing_id()))
     blocks = [replace(b, rows=joined.select(F.col("line").alias("rid"), F.col(f"s_{b.name}").alias("shard"), F.col(f"x_{b.name}").alias("x"))) for b in problem.blocks]
     rowmap = joined.select("jid", *[F.col("line").alias(f"r_{b.name}") for b in problem.blocks], "y")
-    return replace(problem, blocks=blocks, rowmap=rowmap, folded=False, used={b.name: problem.n for b in problem.blocks})
+    return replace(problem, blocks=blocks, rowmap=rowmap, folded=False, known=None)
 
 
 def evaluate(problem: Problem, thetas: dict, rowmap: DataFrame | None = None):
@@ -131,12 +129,14 @@ def _sgd(problem: Problem, method: str, eta: float, epochs: int, batch_size: int
     for epoch in range(1, epochs + 1):
         rows = problem.rowmap
         if n_batches > 1:
-            # written by batch, so that a round reads its own rows only
-            rows = problem.store.write(problem.store.label("batches"), with_batches(rows, n_batches, seed, epoch), partition_by=["bid"])
-            touched = rows.groupBy("bid").agg(F.count(F.lit(1)).alias("n"), *[F.count_distinct(f"r_{x}").alias(x) for x in problem.names])
-            sizes = {r.bid: r.asDict() for r in touched.collect()}  # one row a batch
+            # written by batch, so that a round reads its own rows only; private rounds draw by the law that is accounted for
+            drawn = (poisson_batches if dp else with_batches)(rows, n_batches, seed, epoch)
+            rows = problem.store.write(problem.store.label("batches"), drawn, partition_by=["bid"])
+            sizes = {r.bid: r.n for r in rows.groupBy("bid").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row a batch
+            if dp:  # what is expected, as the real size is not public; an empty batch is a round of noise
+                sizes = {b: problem.n / n_batches for b in range(n_batches)}
         else:
-            sizes = {0: {"n": problem.n, **problem.used}}
+            sizes = {0: problem.n}
         for round_, b in enumerate(sorted(sizes)):
             batch = rows.where(F.col("bid") == b).drop("bid") if n_batches > 1 else rows
             predictions = {}
@@ -153,15 +153,16 @@ def _sgd(problem: Problem, method: str, eta: float, epochs: int, batch_size: int
                 d = [F.col(f"d{i}") for i in range(k)]
                 folded = JoinOperator(replace(problem, folded=False)).fold(scored, name, d) if per_row else join.fold(scored, name, d)
                 received[name] = c.receive(folded)
-            partials = partial_gradients(received, problem.blocks, thetas, dp.clip if dp else None)
+            counts: dict[str, int] = {}
+            partials = partial_gradients(received, problem.blocks, thetas, dp.clip if dp else None, counts)
             scored.unpersist()
             for block in problem.blocks:
                 found = partials[block.name]
                 if dp:
                     found = {s: add_noise(found.get(s, np.zeros_like(thetas[block.name])), dp, rng) for s in range(block.shards)}
                 total = UnionOperator.add(found, thetas[block.name].shape)
-                thetas[block.name] = thetas[block.name] - eta * (total / sizes[b]["n"] + beta * thetas[block.name])
-                sent = sizes[b][block.name] if problem.folded else sizes[b]["n"]
+                thetas[block.name] = thetas[block.name] - eta * (total / sizes[b] + beta * thetas[block.name])
+                sent = counts.get(block.name, 0)
                 ledger.add(epoch, round_, "outer", block.name, "predictions", sent * k)
                 ledger.add(epoch, round_, "outer", block.name, "signals", sent * k)
                 if send_counts == "per_batch" and problem.folded:
@@ -206,7 +207,7 @@ def centralized(problem: Problem, arch: str = "additive", model=None, **options)
         key = f"r_{flat.blocks[0].name}"
         rows = joined.select(F.col(key).alias("rid"), F.lit(0).alias("shard"), F.concat(*[F.col(f"_x_{b.name}") for b in flat.blocks]).alias("x"))
         model = model or LinearModel(sum(b.model.d for b in flat.blocks), problem.classes)
-        flat = replace(flat, blocks=[Block("all", rows, model)], rowmap=flat.rowmap.select("jid", F.col(key).alias("r_all"), "y"), used={"all": problem.n})
+        flat = replace(flat, blocks=[Block("all", rows, model)], rowmap=flat.rowmap.select("jid", F.col(key).alias("r_all"), "y"), known=None)
         if options.get("tests") is not None:
             raise SpecError("a test split needs the additive form")
     result = rel_sgd(flat, method="centralized", judge=None if arch == "monolithic" else problem, **options)
@@ -272,17 +273,17 @@ class _TableStep:
     def _received(self, signal: DataFrame, theta) -> DataFrame:
         return self.client.receive(signal)
 
-    def moments(self, signal: DataFrame, theta) -> dict[int, np.ndarray]:
-        """Sum of x g' by shard. The signal sums mu + rho (m - v); the own prediction is taken off here, through the Gram
-        matrix, as rho * A theta."""
-        found = self.block.model.partial_gradient(self.client.receive(signal), theta)
+    def moments(self, found: dict[int, np.ndarray], theta) -> dict[int, np.ndarray]:
+        """Sum of x g' by shard from the sums ``found`` of x (mu + rho (m - v))'; the own prediction is taken off here, through
+        the Gram matrix, as rho * A theta."""
         own = theta if isinstance(theta, dict) else {s: theta for s in found}
         return {s: b - self.o.rho * self.grams[s] @ own[s] for s, b in found.items()}
 
-    def update(self, signal: DataFrame, theta, extra: float):
+    def update(self, signal: DataFrame, theta, extra: float, found: dict | None = None):
+        """New parameters; ``found`` has the sums of x and signal, where they are known already."""
         o, n, model = self.o, self.problem.n, self.block.model
         if self.exact:
-            moments = self.moments(signal, theta)
+            moments = self.moments(model.partial_gradient(self.client.receive(signal), theta) if found is None else found, theta)
             before = theta if not isinstance(theta, dict) else self.omega
             if self.block.shards == 1:
                 return model.solve(sum(self.grams.values()), sum(moments.values()), o.rho, o.beta, n, extra, before)
@@ -329,7 +330,9 @@ class _TableStep:
         found = row_gradient_sums(self.block.model, rows, thetas, clip, self.o.rho)
         zero = np.zeros_like(self.block.model.start())
         found = {s: found.get(s, zero) for s in range(self.block.shards)}
-        return {s: add_noise(v, self.o.dp, self.rng) for s, v in found.items()} if self.o.dp else found
+        # a joined row more or less changes a folded row's part, which is clipped before and after, by up to twice the clip
+        times = 2.0 if self.o.dp and self.o.dp.unit == "joined_row" and self.problem.folded else 1.0
+        return {s: add_noise(v, self.o.dp, self.rng, times) for s, v in found.items()} if self.o.dp else found
 
     def _descend(self, rows, theta):
         for _ in range(self.o.steps):
@@ -376,8 +379,9 @@ def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests, jud
     else:
         fans = {b.name: problem.rowmap.select(F.col(f"r_{b.name}").alias("rid"), F.lit(1).cast("long").alias("c")) for b in problem.blocks}
     steps = {b.name: _TableStep(problem, b, fans[b.name], o) for b in problem.blocks}
+    # before the first epoch: keys (and a label) of every base row come to the server, fan-out counts go back where rows fold
     for b in problem.blocks:
-        ledger.add(0, 0, "setup", b.name, "fan-out", problem.used.get(b.name, 0))
+        ledger.add(0, 0, "setup", b.name, "fan-out", problem.used[b.name] if problem.folded else 0)
     ids = [f"r_{n}" for n in problem.names]
     state = problem.rowmap.select("jid", *ids, "y", *[F.lit(0.0).alias(f"mu{c}") for c in range(k)])
     curve = _Track(judge or problem, method, tests, 0.0, None)
@@ -397,7 +401,10 @@ def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests, jud
         if o.guard and grown >= o.guard:
             raise DivergenceError(f"the primal residual has grown {grown} epochs in a row: take schedule='sequential' or 'proximal', centre the features, or raise rho")
         q = [F.col(f"q{c}") for c in range(k)]
-        fresh = {}
+        fresh, sums = {}, {}
+        if o.schedule != "sequential":  # the exact steps of all tables read the state in one job
+            exact = [b for b in problem.blocks if steps[b.name].exact]
+            sums = partial_gradients({b.name: steps[b.name].client.receive(join.fold(stepped, b.name, q)) for b in exact}, exact, thetas)
         for turn, b in enumerate(problem.blocks):
             rows = stepped
             if o.schedule == "sequential" and turn:
@@ -406,8 +413,8 @@ def _admm(problem: Problem, method: str, o: AdmmOptions, track: bool, tests, jud
                 plain = stepped.select("jid", *ids, "y", *[f"{x}{c}" for x in ("mu", "v") for c in range(k)])
                 rows = join.gather(plain, now).select("*", *[(F.col(f"mu{c}") + F.lit(o.rho) * (F.col(f"m{c}") - F.col(f"v{c}"))).alias(f"q{c}") for c in range(k)])
             signal = join.fold(rows, b.name, q)
-            fresh[b.name] = steps[b.name].update(signal, thetas[b.name], extra)
-            sent = problem.used.get(b.name, problem.n) if problem.folded else problem.n
+            fresh[b.name] = steps[b.name].update(signal, thetas[b.name], extra, sums.get(b.name))
+            sent = problem.used[b.name]
             ledger.add(epoch, turn, "outer", b.name, "predictions", sent * k)
             ledger.add(epoch, turn, "outer", b.name, "signals", sent * k * (1 if problem.folded else 2))
             if b.shards > 1:

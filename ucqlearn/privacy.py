@@ -21,10 +21,11 @@ def label_lambda(epsilon: float) -> float:
     return 2 * math.sqrt(2) / epsilon
 
 
-def noisy_labels(df: DataFrame, label: str, rid: str, classes: int, lam: float, seed: int | None = 0, y_range: float | None = None) -> DataFrame:
+def noisy_labels(df: DataFrame, label: str, rid: str, classes: int, lam: float, seed: int | None = 0, y_range: tuple[float, float] | None = None) -> DataFrame:
     """Replaces the label before it is uploaded. Classes: noise on each place of the one-hot label, then the greatest place.
-    One class stands for numbers: the label plus noise, whose epsilon needs the labels' range. ``seed`` None draws from the
-    system; seeded noise is for tests only."""
+    One class stands for numbers: labels are clipped to ``y_range`` (low, high), which must be public, and get noise of standard
+    deviation lam * (high - low) / 2, so that ``label_epsilon(lam)`` holds for them as well. ``seed`` None draws from the system;
+    seeded noise is for tests only."""
     if seed is None:
         import secrets
 
@@ -32,14 +33,16 @@ def noisy_labels(df: DataFrame, label: str, rid: str, classes: int, lam: float,
     if classes == 1:
         if y_range is None:
             raise ValueError("numeric labels need a bounded range")
-        noise = laplace_from_uniform(hash_uniform(seed, F.col(rid), F.lit(0)), lam)
-        return df.withColumn(label, F.col(label).cast("double") + noise)
+        low, high = map(float, y_range)
+        noise = laplace_from_uniform(hash_uniform(seed, F.col(rid), F.lit(0)), lam * (high - low) / 2)
+        return df.withColumn(label, F.greatest(F.lit(low), F.least(F.lit(high), F.col(label).cast("double"))) + noise)
     places = [F.when(F.col(label) == c, 1.0).otherwise(0.0) + laplace_from_uniform(hash_uniform(seed, F.col(rid), F.lit(c)), lam) for c in range(classes)]
     return df.withColumn(label, argmax(places))
 
 
-def numeric_label_epsilon(lam: float, y_range: float) -> float:
-    return y_range * math.sqrt(2) / lam
+def numeric_label_epsilon(std: float, low: float, high: float) -> float:
+    """Of noise of standard deviation ``std`` on numbers between low and high."""
+    return (high - low) * math.sqrt(2) / std
 
 
 def flip_rate(lam: float) -> float:
@@ -57,7 +60,10 @@ def clip(gradient: Column, most: float) -> Column:
 
 @dataclass(frozen=True)
 class DpSpec:
-    """Clipping norm and noise of local updates. ``unit`` is what is clipped: a base row's folded part, or each joined row's."""
+    """Clipping norm and noise of local updates. ``unit`` is what one may add or remove unnoticed: a base row with all its joined
+    rows, or one joined row. SGD clips the parts of that unit. ADMM folds, and clips folded parts under both units; a joined row
+    can move such a part by twice the clip, and the noise is twice as large. What is clipped is the data's part of a
+    gradient: the penalty's depends on no row, and is added afterwards. The epsilon is that of one table's releases."""
 
     clip: float = 1.0
     sigma: float = 1.0
@@ -68,8 +74,9 @@ class DpSpec:
         return np.random.default_rng(self.seed)  # None: from the operating system
 
 
-def add_noise(total: np.ndarray, dp: DpSpec, rng: np.random.Generator) -> np.ndarray:
-    return total + rng.normal(0.0, dp.sigma * dp.clip, size=total.shape)
+def add_noise(total: np.ndarray, dp: DpSpec, rng: np.random.Generator, times: float = 1.0) -> np.ndarray:
+    """``times``: how many clips one unit can move the total by."""
+    return total + rng.normal(0.0, dp.sigma * dp.clip * times, size=total.shape)
 
 
 ORDERS = tuple(range(2, 65))

@@ -52,19 +52,27 @@ SCALED = {
 }
 Y_NUMBER, Y_BINARY = "l_extendedprice / 20000e0", "CASE WHEN l_linestatus = 'F' THEN 1.0 ELSE 0.0 END"
 L_RID = "((((l_orderkey * 20000003 + l_partkey) * 1009 + l_suppkey) * 8 + l_linenumber) * 64 + CAST(l_quantity AS BIGINT))"
-P = mapping.PRIME
 
 
-def jid_sql(*ids):
-    out = "0"
-    for i in ids:
-        out = f"((({out}) * 31 + ({i}) % {P}) % {P})"
-    return out
+def number_sql(*parts):
+    """What ``hash_number`` gives."""
+    return f"CAST('0x' || substr(md5(concat_ws('|', {', '.join(str(x) for x in parts)})), 1, 15) AS BIGINT)"
+
+
+jid_sql = number_sql
 
 
 JID_W0 = jid_sql(L_RID, "p_partkey", "s_suppkey")
 
 
+def bid_sql(n_batches, seed=0, epoch=0, jid=JID_W0):
+    return "CAST(" + number_sql("'batch'", f"'{seed}'", f"'{epoch}'", jid) + f" % {n_batches} AS INTEGER)"
+
+
+def test_sql(jid=JID_W0):
+    return f"({number_sql(repr('split'), jid)} % 100 < 15)"
+
+
 def x_sql(y=Y_NUMBER, more=""):
     parts = [e for t in SCALED.values() for e in t]
     cols = ", ".join(f"CAST({e} AS DOUBLE) AS x{i}" for i, e in enumerate(parts))
@@ -115,7 +123,7 @@ def unpivot_sql(ctes: list[str], names: list[str]) -> str:
 
 def sgd_sql(steps: int, eta: float, beta: float, y=Y_NUMBER, derivative="({m}) - y", n_batches: int = 1) -> str:
     d = len(SLOTS)
-    more = f", CAST((({JID_W0}) * 48271 + 7919) % {P} % {n_batches} AS INTEGER) AS bid" if n_batches > 1 else ""
+    more = f", {bid_sql(n_batches, 0, 1)} AS bid" if n_batches > 1 else ""
     ctes, names = [x_sql(y, more), "t0 AS (SELECT " + ", ".join(f"0.0::DOUBLE AS p{i}" for i in range(d)) + ")"], []
     for s in range(1, steps + 1):
         m = " + ".join(f"p{i} * x{i}" for i in range(d))
@@ -273,7 +281,7 @@ def duplication_factor(spark, sf_dir):
     return rounded(mapping.duplication(row_map_w0(spark, sf_dir), ["lineitem", "part", "supplier"]), "factor")
 
 
-BID6 = f"CAST(({JID_W0} * 48271 + 5) % {P} % 6 AS INTEGER)"
+BID6 = bid_sql(6, 5)
 
 
 @query("batch_ids_w0", f"SELECT {BID6} AS bid, count(*) AS n, CAST(sum(p_partkey) AS BIGINT) AS parts {JOIN_W0} GROUP BY 1")
@@ -281,7 +289,7 @@ def batch_ids_w0(spark, sf_dir):
     return batches.with_batches(row_map_w0(spark, sf_dir), 6, 5).groupBy("bid").agg(F.count(F.lit(1)).alias("n"), F.sum("r_part").alias("parts"))
 
 
-@query("test_split_w0", f"SELECT CAST(({JID_W0} * 48271 + 17) % 100 < 15 AS BOOLEAN) AS test, count(*) AS n {JOIN_W0} GROUP BY 1")
+@query("test_split_w0", f"SELECT {test_sql()} AS test, count(*) AS n {JOIN_W0} GROUP BY 1")
 def test_split_w0(spark, sf_dir):
     return row_map_w0(spark, sf_dir).groupBy(batches.is_test(F.col("jid")).alias("test")).agg(F.count(F.lit(1)).alias("n"))
 
@@ -539,10 +547,10 @@ def label_noise_binary(spark, sf_dir):
     return privacy.noisy_labels(o, "y", "o_orderkey", 2, 0.5, seed=3)
 
 
-@query("label_noise_numeric", f"SELECT o_orderkey, round(o_totalprice + {_N[0]}, 6) + 0.0 AS y FROM orders")
+@query("label_noise_numeric", f"SELECT o_orderkey, round(greatest(1000.0, least(400000.0, o_totalprice)) + {_laplace_sql(_U.format(seed=3, rid='CAST(o_orderkey AS VARCHAR)', c=repr('0')), 0.5 * 399000 / 2)}, 6) + 0.0 AS y FROM orders")
 def label_noise_numeric(spark, sf_dir):
     o = load_table(spark, sf_dir, "orders").select("o_orderkey", F.col("o_totalprice").alias("y"))
-    return rounded(privacy.noisy_labels(o, "y", "o_orderkey", 1, 0.5, seed=3, y_range=1.0), "y")
+    return rounded(privacy.noisy_labels(o, "y", "o_orderkey", 1, 0.5, seed=3, y_range=(1000.0, 400000.0)), "y")
 
 
 @query("clip_gradient", "WITH g AS (SELECT p_partkey, p_size / 10.0 AS a, p_retailprice / 500.0 AS b FROM part) SELECT p_partkey, round(a * least(1.0, 1.0 / greatest(sqrt(a * a + b * b), 1e-12)), 6) + 0.0 AS a, round(b * least(1.0, 1.0 / greatest(sqrt(a * a + b * b), 1e-12)), 6) + 0.0 AS b FROM g")
@@ -570,13 +578,13 @@ def privacy_unit_report(spark, sf_dir):
 # ---- measures
 
 
-@query("rmse_eval", f"WITH {x_sql()} SELECT round(sqrt(avg((({MARGIN}) - y) * (({MARGIN}) - y))), 6) + 0.0 AS rmse FROM x WHERE (jid * 48271 + 17) % 100 < 15")
+@query("rmse_eval", f"WITH {x_sql()} SELECT round(sqrt(avg((({MARGIN}) - y) * (({MARGIN}) - y))), 6) + 0.0 AS rmse FROM x WHERE {test_sql('jid')}")
 def rmse_eval(spark, sf_dir):
     s = scored_w0(spark, sf_dir)[2].where(batches.is_test(F.col("jid")))
     return rounded(metrics.rmse(s.select(F.col("m0").alias("pred"), "y")), "rmse")
 
 
-@query("accuracy_eval", f"WITH {x_sql(Y_BINARY)} SELECT round(avg(CASE WHEN (CASE WHEN {MARGIN} > 0 THEN 1.0 ELSE 0.0 END) = y THEN 1.0 ELSE 0.0 END), 6) + 0.0 AS accuracy FROM x WHERE (jid * 48271 + 17) % 100 < 15")
+@query("accuracy_eval", f"WITH {x_sql(Y_BINARY)} SELECT round(avg(CASE WHEN (CASE WHEN {MARGIN} > 0 THEN 1.0 ELSE 0.0 END) = y THEN 1.0 ELSE 0.0 END), 6) + 0.0 AS accuracy FROM x WHERE {test_sql('jid')}")
 def accuracy_eval(spark, sf_dir):
     s = scored_w0(spark, sf_dir, LogisticLoss(), True)[2].where(batches.is_test(F.col("jid")))
     return rounded(metrics.accuracy(s.select(LogisticLoss().predicted([F.col("m0")]).alias("pred"), "y")), "accuracy")
@@ -602,7 +610,7 @@ def _facts(spark, sf_dir, n_batches=90):
     return r.n, [r[x] for x in names], [a[x] for x in names]
 
 
-_FACTS = f"j AS MATERIALIZED (SELECT CAST({JID_W0} * 48271 % {P} % 90 AS INTEGER) AS bid, {L_RID} AS l, p_partkey AS p, s_suppkey AS s {JOIN_W0}), k AS (SELECT count(*) AS n, count(DISTINCT l) + count(DISTINCT p) + count(DISTINCT s) AS used FROM j), a AS (SELECT sum(l + p + s) AS alphas FROM (SELECT count(DISTINCT l) AS l, count(DISTINCT p) AS p, count(DISTINCT s) AS s FROM j GROUP BY bid))"
+_FACTS = f"j AS MATERIALIZED (SELECT {bid_sql(90)} AS bid, {L_RID} AS l, p_partkey AS p, s_suppkey AS s {JOIN_W0}), k AS (SELECT count(*) AS n, count(DISTINCT l) + count(DISTINCT p) + count(DISTINCT s) AS used FROM j), a AS (SELECT sum(l + p + s) AS alphas FROM (SELECT count(DISTINCT l) AS l, count(DISTINCT p) AS p, count(DISTINCT s) AS s FROM j GROUP BY bid))"
 _VOLUME = {"vfl_sgd": "2 * 3 * n", "vfl_admm": "3 * 3 * n", "rel_sgd_v": "2 * alphas", "rel_admm_v": "2 * used", "rel_sgd": "2 * alphas + 2 * (2 * 2 + 2 * 2 + 2 * 1) * 90", "rel_admm": "2 * used + 10 * 3 * (2 * 2 + 2 * 2 + 2 * 1)"}
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.columns import hash_uniform, logistic_from_uniform, name_words, one_hot, standardize
 from ..functions.losses import LogisticLoss, SoftmaxLoss, SquaredLoss
 from ..functions.models import LinearModel, MlpModel
+from ..plans.rowids import ranked
 from ..plans.ucq import TableSpec, UcqSpec
 from .tables import load_table
 
@@ -19,14 +20,22 @@ def scaled(df: DataFrame, columns: list[str]) -> DataFrame:
 
 
 def line_id() -> Column:
-    """A lineitem's id from its keys and quantity, which tell the given rows apart and can be stated in SQL. It is for the
-    given tables: at larger scale its products overflow, which is an error, and ``rowids.ranked`` takes its place."""
-    keys = ((F.col("l_orderkey") * 20_000_003 + F.col("l_partkey")) * 1009 + F.col("l_suppkey")) * 8 + F.col("l_linenumber")
-    return keys * 64 + F.col("l_quantity").cast("long")
-
-
-def lineitems(spark, sf_dir: str) -> DataFrame:
-    return load_table(spark, sf_dir, "lineitem").withColumn("l_rid", line_id()).withColumn("one", F.lit(1.0))
+    """A lineitem's id from its keys and quantity, which tell the given rows apart and can be stated in SQL. Where the number
+    would not fit, a negative 63-bit hash of them takes its place; two rows in 2**32 or so may then share one, and
+    ``lineitems`` with a store numbers all rows densely instead."""
+    mul, add = F.try_multiply, F.try_add
+    keys = add(mul(add(mul(add(mul(F.col("l_orderkey"), F.lit(20_000_003)), F.col("l_partkey")), F.lit(1009)), F.col("l_suppkey")), F.lit(8)), F.col("l_linenumber"))
+    exact = add(mul(keys, F.lit(64)), F.col("l_quantity").cast("long"))
+    hashed = F.xxhash64("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity").bitwiseOR(F.lit(-(1 << 63)))
+    return F.coalesce(F.when(exact >= 0, exact), hashed)
+
+
+def lineitems(spark, sf_dir: str, store=None) -> DataFrame:
+    """The lines with l_rid; with an artifact store their ids are dense numbers in the order of all columns."""
+    lines = load_table(spark, sf_dir, "lineitem")
+    if store is not None:
+        return ranked(lines, lines.columns, store, store.label("lines")).withColumnRenamed("rid", "l_rid").withColumn("one", F.lit(1.0))
+    return lines.withColumn("l_rid", line_id()).withColumn("one", F.lit(1.0))
 
 
 def with_shards(df: DataFrame, key: str, count: int) -> DataFrame:
