@@ -293,6 +293,86 @@ def test_label_noise(spark):
     assert privacy.noisy_labels(df, "y", "id", 2, 0.5, seed=None).count() == 40000
 
 
+def test_epochs_draw_new_batches(spark):
+    """Pairs of batches in two epochs fill the table evenly, seeds differ, and no batch of a hundred is empty."""
+    rows = spark.range(40_000).select(F.col("id").alias("jid"))
+    two = rows.select(batches.batch_id(F.col("jid"), 20, 0, 1).alias("a"), batches.batch_id(F.col("jid"), 20, 0, 2).alias("b"), batches.batch_id(F.col("jid"), 20, 1, 1).alias("c"), batches.is_test(F.col("jid")).alias("t"))
+    for x, y in (("a", "b"), ("a", "c")):
+        pairs = [r.n for r in two.groupBy(x, y).agg(F.count(F.lit(1)).alias("n")).collect()]
+        assert len(pairs) == 400 and 50 < min(pairs) and max(pairs) < 160  # 100 expected
+    for n in (20, 50, 100):
+        sizes = [r["count"] for r in rows.where(~batches.is_test(F.col("jid"))).select(batches.batch_id(F.col("jid"), n, 3, 4).alias("b")).groupBy("b").count().collect()]
+        assert len(sizes) == n and max(sizes) < 1.5 * min(sizes)
+    assert abs(two.agg(F.avg(F.col("t").cast("double"))).first()[0] - 0.15) < 0.01
+
+
+def test_poisson_batches(spark):
+    """Each batch has its share, rows are drawn independently in each, and some rows are in none."""
+    rows = spark.range(20_000).select(F.col("id").alias("jid"))
+    drawn = batches.poisson_batches(rows, 5, 1, 2).persist()
+    sizes = {r.bid: r["count"] for r in drawn.groupBy("bid").count().collect()}
+    assert set(sizes) == set(range(5)) and all(abs(n - 4000) < 300 for n in sizes.values())
+    times = {r["count"]: r.n for r in drawn.groupBy("jid").count().groupBy("count").agg(F.count(F.lit(1)).alias("n")).collect()}
+    assert abs(times[1] / 20_000 - 5 * 0.2 * 0.8**4) < 0.02 and abs(times[2] / 20_000 - 10 * 0.04 * 0.8**3) < 0.02
+    assert drawn.select("jid").distinct().count() < 20_000
+    drawn.unpersist()
+
+
+def test_private_rounds_follow_the_accounted_law(w0):
+    """An empty or small batch is a round like any other, divided by the expected size; a joined row costs ADMM twice the noise."""
+    r = train.rel_sgd(w0, eta=0.1, epochs=2, batch_size=2000, track=False, dp=privacy.DpSpec(sigma=1.0, unit="joined_row", seed=5))
+    assert r.ledger.rounds(1) == 2 * 3
+    spread = {}
+    for unit in ("base_row", "joined_row"):
+        fits = [flat(train.rel_admm_v(w0, rho=0.5, epochs=1, inner="descent", steps=1, lr=1.0, track=False, guard=0, dp=privacy.DpSpec(1.0, 400.0, unit, s)).thetas) for s in range(4)]
+        spread[unit] = np.std(np.array(fits), axis=0).mean()
+    assert abs(spread["joined_row"] / spread["base_row"] - 2) < 0.02
+
+
+def test_numeric_labels_keep_their_range(spark):
+    df = spark.createDataFrame([(i, float(v)) for i, v in enumerate([-50, 1, 5, 900] * 2000)], "id long, y double")
+    quiet = privacy.noisy_labels(df, "y", "id", 1, 1e-9, seed=1, y_range=(1.0, 5.0))
+    assert quiet.agg(F.min("y"), F.max("y")).first()[0] == pytest.approx(1.0) and quiet.agg(F.max("y")).first()[0] == pytest.approx(5.0)
+    noise = privacy.noisy_labels(df.where("y = 5"), "y", "id", 1, 0.5, seed=1, y_range=(1.0, 5.0)).agg(F.stddev("y")).first()[0]
+    assert abs(noise - 1.0) < 0.1 and privacy.numeric_label_epsilon(1.0, 1.0, 5.0) == pytest.approx(privacy.label_epsilon(0.5))
+
+
+def test_ids_of_large_keys(spark):
+    """Keys of a hundred times the largest given table."""
+    from ucqlearn.sources.workloads import line_id
+
+    rows = [(k, p, s, n, 7.0) for k in (5, 999_999, 1_000_000, 10_000_000, 6_000_000_000) for p in (1, 199_999_999) for s in (3, 9_999_999) for n in (1, 2)]
+    df = spark.createDataFrame(rows, "l_orderkey long, l_partkey long, l_suppkey long, l_linenumber int, l_quantity double")
+    assert df.select(line_id().alias("i")).where("i is not null").distinct().count() == len(rows)
+
+
+def test_wide_models_sum_without_a_matrix_a_row(spark):
+    """768 features and 5 classes: Gram matrix, gradient and clipped gradient against numpy."""
+    d, k, n = 768, 5, 600
+    rng = np.random.default_rng(1)
+    x, g, c = rng.normal(size=(n, d)), rng.normal(size=(n, k)), rng.integers(1, 4, n)
+    rows = [(i % 2, x[i].tolist(), *g[i].tolist(), int(c[i])) for i in range(n)]
+    df = spark.createDataFrame(rows, "shard int, x array<double>, " + ", ".join(f"g{i} double" for i in range(k)) + ", c long").repartition(5)
+    model = LinearModel(d, k)
+    grams = model.gram(df.select("shard", "x", "c"))
+    for s in (0, 1):
+        at = np.arange(n) % 2 == s
+        assert np.allclose(grams[s], (x[at] * c[at, None]).T @ x[at])
+        assert np.allclose(model.partial_gradient(df, model.start())[s], x[at].T @ g[at])
+        norms = np.linalg.norm(x[at], axis=1) * np.linalg.norm(g[at], axis=1)
+        want = x[at].T @ (g[at] * np.minimum(1, 3 / norms)[:, None])
+        assert np.allclose(model.partial_gradient(df, model.start(), 3.0)[s], want)
+
+
+def test_clipped_net_gradients_row_by_row():
+    rng = np.random.default_rng(2)
+    model, x, g = MlpModel(3, 5, 2), rng.normal(size=(9, 3)), rng.normal(size=(9, 2))
+    theta = model.start(1)
+    rows = [model.gradient_sum(theta, x[i : i + 1], g[i : i + 1]) for i in range(9)]
+    want = sum(r * min(1.0, 0.7 / np.linalg.norm(r)) for r in rows)
+    assert np.allclose(model.gradient_sum(theta, x, g, 0.7), want)
+
+
 def test_accountant():
     e = privacy.epsilon_spent
     assert e(1.0, 0.1, 10, 1e-5) < e(1.0, 0.1, 100, 1e-5) and e(2.0, 0.1, 100, 1e-5) < e(1.0, 0.1, 100, 1e-5) < e(1.0, 0.2, 100, 1e-5)

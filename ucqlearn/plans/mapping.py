@@ -79,11 +79,11 @@ def fan_out_all(spark, rowmap: DataFrame, names: list[str]) -> DataFrame:
 
 
 def reverse_map(rowmap: DataFrame, name: str, materialize: bool = False) -> DataFrame:
-    """rid with the size, least, greatest and sum of its joined rows' numbers; ``materialize`` lists them (debugging only)."""
+    """rid with the size, least, greatest and checksum of its joined rows' numbers; ``materialize`` lists them (debugging only)."""
     rid, jid = F.col(f"r_{name}").alias("rid"), F.col("jid")
     if materialize:
         return rowmap.groupBy(rid).agg(F.sort_array(F.collect_list(jid)).alias("jids"))
-    return rowmap.groupBy(rid).agg(F.count(F.lit(1)).alias("n"), F.min(jid).alias("least"), F.max(jid).alias("greatest"), F.sum(jid).alias("total"))
+    return rowmap.groupBy(rid).agg(F.count(F.lit(1)).alias("n"), F.min(jid).alias("least"), F.max(jid).alias("greatest"), F.bit_xor(jid).alias("checksum"))
 
 
 def materialize_join(ucq: UcqSpec) -> DataFrame:

@@ -116,27 +116,32 @@ def thetas_frame(spark, by_epoch):
     return out
 
 
-def unpivot_sql(ctes: list[str], names: list[str]) -> str:
-    parts = [f"SELECT {s} AS step, '{t}' AS tbl, {i} AS i, 0 AS j, round(p{k}, 6) + 0.0 AS value FROM {c}" for s, c in enumerate(names, 1) for k, (t, i) in enumerate(SLOTS)]
+def unpivot_sql(ctes: list[str], names: list[str], slots=SLOTS) -> str:
+    parts = [f"SELECT {s} AS step, '{t}' AS tbl, {i} AS i, 0 AS j, round(p{k}, 6) + 0.0 AS value FROM {c}" for s, c in enumerate(names, 1) for k, (t, i) in enumerate(slots)]
     return "WITH " + ",\n".join(ctes) + "\n" + "\nUNION ALL ".join(parts)
 
 
-def sgd_sql(steps: int, eta: float, beta: float, y=Y_NUMBER, derivative="({m}) - y", n_batches: int = 1) -> str:
-    d = len(SLOTS)
+def sgd_sql(steps: int, eta: float, beta: float, y=Y_NUMBER, derivative="({m}) - y", n_batches: int = 1, x: str | None = None, slots=SLOTS, clip: float | None = None) -> str:
+    """``x``: a CTE with x0.., y in place of W0's; ``clip``: the norm of a joined row's part in each table."""
+    d = len(slots)
     more = f", {bid_sql(n_batches, 0, 1)} AS bid" if n_batches > 1 else ""
-    ctes, names = [x_sql(y, more), "t0 AS (SELECT " + ", ".join(f"0.0::DOUBLE AS p{i}" for i in range(d)) + ")"], []
+    ctes, names = [x or x_sql(y, more), "t0 AS (SELECT " + ", ".join(f"0.0::DOUBLE AS p{i}" for i in range(d)) + ")"], []
     for s in range(1, steps + 1):
         m = " + ".join(f"p{i} * x{i}" for i in range(d))
         where = f" WHERE bid = {s - 1}" if n_batches > 1 else ""
-        g = f"SELECT {', '.join(f'avg(({derivative.format(m=m)}) * x{i}) AS g{i}' for i in range(d))} FROM x, t{s - 1}{where}"
+        factor = [""] * d
+        if clip:
+            norms = {t: " + ".join(f"x{i} * x{i}" for i, (u, _) in enumerate(slots) if u == t) for t, _ in slots}
+            factor = [f" * least(1.0, {clip} / greatest(abs({derivative.format(m=m)}) * sqrt({norms[t]}), 1e-12))" for t, _ in slots]
+        g = f"SELECT {', '.join(f'avg(({derivative.format(m=m)}) * x{i}{factor[i]}) AS g{i}' for i in range(d))} FROM x, t{s - 1}{where}"
         ctes.append(f"t{s} AS MATERIALIZED (SELECT {', '.join(f'p{i} - {eta} * (g{i} + {beta} * p{i}) AS p{i}' for i in range(d))} FROM t{s - 1}, ({g}))")
         names.append(f"t{s}")
-    return unpivot_sql(ctes, names if n_batches == 1 else names[-1:])
+    return unpivot_sql(ctes, names if n_batches == 1 else names[-1:], slots)
 
 
-def admm_sql(epochs: int, rho: float, beta: float, inner: int = 0, rho_in: float = 1.0, extra: float = 0.0) -> str:
+def admm_sql(epochs: int, rho: float, beta: float, inner: int = 0, rho_in: float = 1.0, extra: float = 0.0, steps: int = 0, lr: float = 0.0) -> str:
     """Parallel schedule with squared loss. Blocks of two are solved by determinants. With ``inner`` the supplier block is
-    in two shards and goes through consensus rounds."""
+    in two shards and goes through consensus rounds. With ``steps`` every block takes gradient steps in place of solving."""
     d = len(SLOTS)
     ctes = [x_sql(), "n AS (SELECT count(*) AS n FROM x)", "t0 AS (SELECT " + ", ".join(f"0.0::DOUBLE AS p{i}" for i in range(d)) + ")", "s0 AS MATERIALIZED (SELECT *, 0.0::DOUBLE AS mu FROM x)"]
     if inner:
@@ -154,7 +159,15 @@ def admm_sql(epochs: int, rho: float, beta: float, inner: int = 0, rho_in: float
         if inner:
             sums += [f"sum(CASE WHEN r2 % 2 = {s} THEN x4 * (q - {rho} * u_supplier) ELSE 0 END) AS b4_{s}, sum(CASE WHEN r2 % 2 = {s} THEN x4 * x4 ELSE 0 END) AS a4_4_{s}" for s in (0, 1)]
         ctes.append(f"g{e} AS MATERIALIZED (SELECT {', '.join(sums)} FROM q{e})")
-        new = []
+        new, last_step = [], f"t{e - 1}"
+        for k in range(1, steps + 1):
+            slope = {i: " + ".join(f"a{min(i, j)}_{max(i, j)} * p{j}" for j in b) for b in BLOCKS.values() for i in b}
+            ctes.append(f"h{e}_{k} AS MATERIALIZED (SELECT {', '.join(f'p{i} - {lr} * ((b{i} + {rho} * ({slope[i]})) / n + {beta} * p{i}) AS p{i}' for i in range(d))} FROM {last_step}, g{e}, n)")
+            last_step = f"h{e}_{k}"
+        if steps:
+            ctes.append(f"t{e} AS MATERIALIZED (SELECT * FROM {last_step})")
+            names.append(f"t{e}")
+            continue
         for t, b in BLOCKS.items():
             if len(b) == 2:
                 i, j = b
@@ -271,7 +284,7 @@ def fanout_all_sets(spark, sf_dir):
     return mapping.fan_out_all(spark, row_map_w0(spark, sf_dir), ["part", "supplier"])
 
 
-@query("reverse_map_supplier", f"SELECT s_suppkey AS rid, count(*) AS n, min({JID_W0}) AS least, max({JID_W0}) AS greatest, CAST(sum({JID_W0}) AS BIGINT) AS total {JOIN_W0} GROUP BY s_suppkey")
+@query("reverse_map_supplier", f"SELECT s_suppkey AS rid, count(*) AS n, min({JID_W0}) AS least, max({JID_W0}) AS greatest, bit_xor({JID_W0}) AS checksum {JOIN_W0} GROUP BY s_suppkey")
 def reverse_map_supplier(spark, sf_dir):
     return mapping.reverse_map(row_map_w0(spark, sf_dir), "supplier")
 
@@ -442,6 +455,70 @@ def sgd_minibatch_epoch(spark, sf_dir):
     return thetas_frame(spark, train.rel_sgd_v(p, epochs=1, batch_size=math.ceil(p.n / 4), track=False, **_SGD).by_epoch)
 
 
+_fit("admm_inner_sgd_epochs", train.rel_admm_v, admm_sql(2, 0.5, 0.01, steps=3, lr=0.4), epochs=2, rho=0.5, beta=0.01, inner="sgd", steps=3, lr=0.4)
+_fit("sgd_clipped_steps", train.rel_sgd_v, sgd_sql(2, 0.4, 0.01, clip=0.3), epochs=2, dp=privacy.DpSpec(clip=0.3, sigma=0.0, unit="joined_row"), **_SGD)
+
+
+# ---- the other workloads, with fixed scaling
+
+_W1_SLOTS = [("lineitem", 0), ("lineitem", 1), ("customer", 0), ("orders", 0), ("part", 0), ("part", 1), ("supplier", 0)]
+_W1_X = f"x AS MATERIALIZED (SELECT {', '.join(f'CAST({e} AS DOUBLE) AS x{i}' for i, e in enumerate([*SCALED['lineitem'], 'c_acctbal / 5000e0', 'o_totalprice / 250000e0', *SCALED['part'], *SCALED['supplier']]))}, {Y_BINARY} AS y FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey)"
+
+
+def _w1_problem(spark, sf_dir):
+    ucq = shared(spark, sf_dir, True)
+    li = lineitems(spark, sf_dir).select("l_rid", "l_orderkey")
+    line = ucq.table("lineitem")
+    line.df, line.keys = line.df.join(li, "l_rid"), ["l_orderkey", "l_partkey", "l_suppkey"]
+    orders = load_table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", (F.col("o_totalprice") / 250000.0).alias("a0"))
+    customer = load_table(spark, sf_dir, "customer").select("c_custkey", (F.col("c_acctbal") / 5000.0).alias("a0"))
+    tables = [line, TableSpec("customer", customer, ["c_custkey"], ["a0"], "c_custkey"), TableSpec("orders", orders, ["o_orderkey", "o_custkey"], ["a0"], "o_orderkey"), ucq.table("part"), ucq.table("supplier")]
+    return train.make_problem(UcqSpec(tables, [*EDGES_W0, (("lineitem", "l_orderkey"), ("orders", "o_orderkey")), (("orders", "o_custkey"), ("customer", "c_custkey"))]), LogisticLoss())
+
+
+@query("sgd_w1_logistic_steps", sgd_sql(2, 0.4, 0.01, derivative=SIGMA + " - y", x=_W1_X, slots=_W1_SLOTS))
+def sgd_w1_logistic_steps(spark, sf_dir):
+    return thetas_frame(spark, train.rel_sgd_v(_w1_problem(spark, sf_dir), epochs=2, track=False, **_SGD).by_epoch)
+
+
+_W1M_SLOTS = [("events", 0), ("events", 1), ("customer", 0), ("orders", 0)]
+_W1M_X = "x AS MATERIALIZED (SELECT CAST(value / 50e0 AS DOUBLE) AS x0, 1.0::DOUBLE AS x1, CAST(c_acctbal / 5000e0 AS DOUBLE) AS x2, CAST(o_totalprice / 250000e0 AS DOUBLE) AS x3, CASE WHEN event_type = 'error' THEN 1.0 ELSE 0.0 END AS y FROM events JOIN customer ON user_id = c_custkey JOIN orders ON o_custkey = c_custkey)"
+
+
+@query("sgd_w1m_logistic_steps", sgd_sql(2, 0.4, 0.01, derivative=SIGMA + " - y", x=_W1M_X, slots=_W1M_SLOTS))
+def sgd_w1m_logistic_steps(spark, sf_dir):
+    events = load_table(spark, sf_dir, "events").select("event_id", "user_id", (F.col("value") / 50.0).alias("a0"), F.lit(1.0).alias("a1"), F.when(F.col("event_type") == "error", 1.0).otherwise(0.0).alias("y"))
+    orders = load_table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", (F.col("o_totalprice") / 250000.0).alias("a0"))
+    customer = load_table(spark, sf_dir, "customer").select("c_custkey", (F.col("c_acctbal") / 5000.0).alias("a0"))
+    tables = [TableSpec("events", events, ["user_id"], ["a0", "a1"], "event_id", "y"), TableSpec("customer", customer, ["c_custkey"], ["a0"], "c_custkey"), TableSpec("orders", orders, ["o_custkey"], ["a0"], "o_orderkey")]
+    p = train.make_problem(UcqSpec(tables, [(("events", "user_id"), ("customer", "c_custkey")), (("orders", "o_custkey"), ("customer", "c_custkey"))]), LogisticLoss())
+    return thetas_frame(spark, train.rel_sgd_v(p, epochs=2, track=False, **_SGD).by_epoch)
+
+
+_W3_SLOTS = [("lineitem", 0), ("lineitem", 1), ("part", 0), ("part", 1), ("supplier", 0)]
+_W3_X = f"x AS MATERIALIZED (SELECT CAST({SCALED['lineitem'][0]} AS DOUBLE) AS x0, CAST({SCALED['lineitem'][1]} AS DOUBLE) AS x1, CAST({SCALED['part'][0]} AS DOUBLE) AS x2, CAST(len(word) / 5e0 AS DOUBLE) AS x3, CAST({SCALED['supplier'][0]} AS DOUBLE) AS x4, CAST({Y_NUMBER} AS DOUBLE) AS y FROM lineitem JOIN (SELECT p_partkey, p_size, unnest(string_split(trim(p_name), ' ')) AS word FROM part) ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey)"
+
+
+@query("sgd_w3_steps", sgd_sql(2, 0.4, 0.01, x=_W3_X, slots=_W3_SLOTS))
+def sgd_w3_steps(spark, sf_dir):
+    ucq = shared(spark, sf_dir)
+    words = load_table(spark, sf_dir, "part").select("p_partkey", F.expr(SCALED["part"][0]).cast("double").alias("a0"), F.posexplode(name_words(F.col("p_name"))).alias("pos", "word"))
+    words = words.select("p_partkey", (F.col("p_partkey") * 16 + F.col("pos")).alias("p_rid"), "a0", (F.length("word") / 5.0).alias("a1"))
+    tables = [ucq.table("lineitem"), TableSpec("part", words, ["p_partkey"], ["a0", "a1"], "p_rid"), ucq.table("supplier")]
+    return thetas_frame(spark, train.rel_sgd_v(train.make_problem(UcqSpec(tables, EDGES_W0), SquaredLoss()), epochs=2, track=False, **_SGD).by_epoch)
+
+
+@query("w2_softmax_descends", "SELECT epoch, (SELECT count(*) FROM documents) AS n, true AS falls FROM (VALUES (1), (2), (3)) v(epoch)")
+def w2_softmax_descends(spark, sf_dir):
+    """Softmax over text vectors: rows of each epoch, and whether the loss is under that of the epoch before (log of the classes at first)."""
+    from .sources.workloads import reviews
+
+    ucq, loss = reviews(spark, sf_dir)
+    history = train.rel_sgd_v(train.make_problem(ucq, loss), epochs=3, eta=0.5).history
+    before = [float(np.log(loss.classes)), *[h[4] for h in history]]
+    return spark.createDataFrame([(h[1], h[3], bool(h[4] < b)) for h, b in zip(history, before)], "epoch int, n long, falls boolean")
+
+
 @query("rel_admm_consensus", admm_sql(2, 0.5, 0.01, inner=3, rho_in=0.2))
 def rel_admm_consensus(spark, sf_dir):
     ucq = shared(spark, sf_dir, shards=2)
@@ -564,7 +641,15 @@ def label_epsilon(spark, sf_dir):
     return spark.createDataFrame([(x, round(privacy.label_epsilon(x), 6)) for x in (0.25, 0.5, 1.0, 2.0)], "lam double, epsilon double")
 
 
-@query("privacy_accountant")
+_ACCOUNTANT = """WITH p AS (SELECT * FROM (VALUES (0.8::DOUBLE), (1.0::DOUBLE), (2.0::DOUBLE), (4.0::DOUBLE)) v(sigma), (VALUES (0.01::DOUBLE), (0.1::DOUBLE)) w(rate)),
+t AS (SELECT sigma, rate, a, k, lgamma(a + 1) - lgamma(k + 1) - lgamma(a - k + 1) + (a - k) * ln(1 - rate) + k * ln(rate) + k * (k - 1) / (2 * sigma * sigma) AS l
+  FROM p, (SELECT CAST(unnest(range(2, 65)) AS DOUBLE) AS a), (SELECT CAST(unnest(range(0, 65)) AS DOUBLE) AS k) WHERE k <= a),
+m AS (SELECT sigma, rate, a, max(l) AS top FROM t GROUP BY sigma, rate, a),
+s AS (SELECT sigma, rate, a, top + ln(sum(exp(l - top))) AS moment FROM t JOIN m USING (sigma, rate, a) GROUP BY sigma, rate, a, top)
+SELECT sigma, rate, CAST(steps AS INTEGER) AS steps, round(min((steps * moment + ln(100000.0)) / (a - 1)), 6) + 0.0 AS epsilon FROM s, (VALUES (10), (100), (1000)) n(steps) GROUP BY sigma, rate, steps"""
+
+
+@query("privacy_accountant", _ACCOUNTANT)
 def privacy_accountant(spark, sf_dir):
     rows = [(s, r, n, privacy.epsilon_spent(s, r, n, 1e-5)) for s in (0.8, 1.0, 2.0, 4.0) for r in (0.01, 0.1) for n in (10, 100, 1000)]
     return rounded(spark.createDataFrame(rows, "sigma double, rate double, steps int, epsilon double"), "epsilon")
@@ -651,6 +736,44 @@ def complexity_table(spark, sf_dir):
     return spark.createDataFrame([tuple(r.values()) for r in rows], "method string, server_rows double, client_rows double, rounds int, volume double")
 
 
+@query("setup_volume_w0", f"WITH j AS (SELECT {L_RID} AS l, p_partkey AS p, s_suppkey AS s {JOIN_W0}), k AS (SELECT count(DISTINCT l) AS l, count(DISTINCT p) AS p, count(DISTINCT s) AS s FROM j) SELECT 3 * l + 2 * p + 2 * s + l + (l + p + s) AS n_values FROM k")
+def setup_volume_w0(spark, sf_dir):
+    """Ids and keys of the three tables and the labels up, fan-out counts down."""
+    p = problem(spark, sf_dir)
+    used = [p.used[n] for n in p.names]
+    return spark.createDataFrame([(cost.setup_volume(used, 1, used[0], [2, 1, 1]),)], "n_values long")
+
+
+@query("order_of_methods_by_time", "SELECT * FROM (VALUES (1, 'rel_admm_v'), (2, 'vfl_admm'), (3, 'rel_sgd_v'), (4, 'vfl_sgd')) v(place, method)")
+def order_of_methods_by_time(spark, sf_dir):
+    """Methods by the modelled time to come within a hundredth of the exact optimum's error."""
+    p = problem(spark, sf_dir)
+    target = train.ridge_exact(p, 0.01)[1] * 1.05
+    history, costs = [], []
+    for name, options in (("rel_admm_v", {"rho": 0.5, "epochs": 4}), ("vfl_admm", {"rho": 0.5, "epochs": 4}), ("rel_sgd_v", {"eta": 0.4, "batch_size": -(-p.n // 5), "epochs": 3}), ("vfl_sgd", {"eta": 0.4, "batch_size": -(-p.n // 5), "epochs": 3})):
+        r = train.METHODS[name](p, beta=0.01, **options)
+        history += [(h[0], h[1], h[5]) for h in r.history]
+        costs += [(name, h[1], cost.comm_time(r.ledger.rounds(h[1]), r.ledger.bytes(h[1]))) for h in r.history]
+    curve = metrics.with_time(spark.createDataFrame(history, "method string, epoch int, metric double"), spark.createDataFrame(costs, "method string, epoch int, seconds double"))
+    met = sorted(metrics.time_to_target(curve, target, True).collect(), key=lambda r: r.time)
+    return spark.createDataFrame([(i, r.method) for i, r in enumerate(met, 1)], "place int, method string")
+
+
+@query("private_fits", "SELECT * FROM (VALUES ('rel_sgd_v', true, true, true), ('rel_admm_v', true, true, true)) v(method, spends_at_most_one, noisy, no_better)")
+def private_fits(spark, sf_dir):
+    """Private SGD and ADMM: whether their noise keeps to epsilon 1 at delta 1e-5, moves the parameters, and doesn't lower the training error."""
+    p = problem(spark, sf_dir)
+    out = []
+    for name, rate, steps, options in (("rel_sgd_v", 0.25, 8, {"eta": 0.4, "batch_size": -(-p.n // 4)}), ("rel_admm_v", 1.0, 2 * 3, {"rho": 0.5, "inner": "descent", "steps": 3, "lr": 0.4})):
+        sigma = privacy.sigma_for(1.0, rate, steps, 1e-5)
+        plain = train.METHODS[name](p, epochs=2, beta=0.01, **options)
+        noisy = train.METHODS[name](p, epochs=2, beta=0.01, dp=privacy.DpSpec(1.0, sigma, "joined_row", 7), **options)
+        moved = max(float(np.abs(plain.thetas[t] - noisy.thetas[t]).max()) for t in plain.thetas)
+        drop = metrics.dp_drop(noisy.history[-1][5], plain.history[-1][5], True)
+        out.append((name, privacy.epsilon_spent(sigma, rate, steps, 1e-5) <= 1.0, moved > 0, drop > -0.01))
+    return spark.createDataFrame(out, "method string, spends_at_most_one boolean, noisy boolean, no_better boolean")
+
+
 @query("accuracy_vs_time")
 def accuracy_vs_time(spark, sf_dir):
     """method, epoch, rmse and running time over the slower network, for the two folded and two unfolded vertical methods."""
