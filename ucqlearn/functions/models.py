@@ -21,9 +21,9 @@ def _batch_matrix(column: pa.Array, width: int) -> np.ndarray:
 CHUNK = 1 << 14  # numbers in a row of partial sums
 
 
-def _sum_by_shard(df: DataFrame, work) -> dict[int, np.ndarray]:
+def _sum_by_shard(df: DataFrame, width: int, work) -> dict[int, np.ndarray]:
     """Sums of ``work(batch) -> {shard: flat array}`` over all batches. Every partition makes one array a shard, cut into chunks;
-    equal chunks meet and are added up by tasks, so that the driver gets one array a shard, whatever the number of partitions."""
+    equal chunks meet and are added up by tasks, so that the driver gets one array of ``width`` a shard, whatever the number of partitions."""
 
     def partial(batches):
         total: dict[int, np.ndarray] = {}
@@ -44,7 +44,7 @@ def _sum_by_shard(df: DataFrame, work) -> dict[int, np.ndarray]:
 
     schema = "shard int, at int, v binary"
     parts: dict[int, dict] = {}
-    for r in df.mapInArrow(partial, schema).repartition("shard", "at").mapInArrow(added, schema).collect():
+    for r in df.mapInArrow(partial, schema).repartition(max(1, -(-width // CHUNK)), "shard", "at").mapInArrow(added, schema).collect():
         parts.setdefault(r.shard, {})[r.at] = np.frombuffer(bytes(r.v))
     return {s: np.concatenate([p[at] for at in sorted(p)]) for s, p in parts.items()}
 
@@ -110,7 +110,7 @@ class LinearModel:
                 x, c = _batch_matrix(batch.column(1), d), batch.column(2).to_numpy().astype(float)
                 return {s: ((x[at] * c[at, None]).T @ x[at]).reshape(-1) for s, at in _shards(batch)}
 
-            return {s: v.reshape(d, d) for s, v in _sum_by_shard(weighted.select("shard", "x", "c"), work).items()}
+            return {s: v.reshape(d, d) for s, v in _sum_by_shard(weighted.select("shard", "x", "c"), d * d, work).items()}
         out = {}
         for s, values in found.items():
             a = np.zeros((d, d))
@@ -181,8 +181,8 @@ class MlpModel:
         return row_gradient_sums(self, signal, theta, clip)
 
 
-def row_gradient_sums(model, signal: DataFrame, theta, clip: float | None = None, rho: float = 0.0) -> dict[int, np.ndarray]:
-    """Sum over rows of du/dtheta * D for each shard, each row's part clipped to L2 norm ``clip``.
+def row_gradient_sums(model, signal: DataFrame, theta, clip: float | None = None, rho: float = 0.0, counts: dict[int, int] | None = None) -> dict[int, np.ndarray]:
+    """Sum over rows of du/dtheta * D for each shard, each row's part clipped to L2 norm ``clip``; ``counts`` gets each shard's rows.
 
     ``signal`` has shard, x, g0.. and, with ``rho``, c. D is g, plus rho * c * u for the folded ADMM objective, u being
     the prediction under ``theta`` (one array, or a dict with one for each shard)."""
@@ -197,9 +197,12 @@ def row_gradient_sums(model, signal: DataFrame, theta, clip: float | None = None
             rows = g[at]
             if rho:
                 rows = rows + rho * batch.column(2 + k).to_numpy()[at, None] * model.forward(own, x[at])[2]
-            out[s] = model.gradient_sum(own, x[at], rows, clip)
+            out[s] = np.append(model.gradient_sum(own, x[at], rows, clip), len(rows))
         return out
 
     wanted = signal.select("shard", "x", *[f"g{c}" for c in range(k)], *(["c"] if rho else []))
     shape = model.start().shape
-    return {s: v.reshape(shape) for s, v in _sum_by_shard(wanted, work).items()}
+    found = _sum_by_shard(wanted, model.size + 1, work)
+    if counts is not None:
+        counts |= {s: int(v[-1]) for s, v in found.items()}
+    return {s: v[:-1].reshape(shape) for s, v in found.items()}

@@ -139,8 +139,9 @@ def partial_gradients(received: dict[str, DataFrame], blocks: list[Block], theta
             out.setdefault(b.name, {})[r.shard] = np.array(r.total).reshape(b.model.d, b.model.classes)
     for b in blocks:
         if b not in together:
-            counts[b.name] = received[b.name].count()
-            out[b.name] = row_gradient_sums(b.model, received[b.name], thetas[b.name], clip)
+            rows: dict[int, int] = {}
+            out[b.name] = row_gradient_sums(b.model, received[b.name], thetas[b.name], clip, counts=rows)
+            counts[b.name] = sum(rows.values())
     for b in blocks:
         out.setdefault(b.name, {})
     return out

@@ -42,10 +42,12 @@ def shards_from_paths(spark, paths: list[str], format: str = "parquet", schema=N
 
 
 def shared_folder(spark: SparkSession, label: str) -> str:
-    """A new folder's URI under spark.checkpoint.dir, which driver and executors share; sessions without that setting, as
-    in tests, get a temporary one. Folders of the file scheme are removed when the driver's Python ends."""
+    """A new folder's URI under spark.checkpoint.dir, which driver and executors share. Without that setting a local session, as
+    in tests, gets a temporary one, and a cluster is refused. Folders of the file scheme are removed when the driver's Python ends."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if base is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         base = tempfile.mkdtemp(prefix="ucqlearn_")
         atexit.register(shutil.rmtree, base, ignore_errors=True)
     path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(base)
