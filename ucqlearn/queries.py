@@ -746,7 +746,7 @@ def setup_volume_w0(spark, sf_dir):
 
 @query("order_of_methods_by_time", "SELECT * FROM (VALUES (1, 'rel_admm_v'), (2, 'vfl_admm'), (3, 'rel_sgd_v'), (4, 'vfl_sgd')) v(place, method)")
 def order_of_methods_by_time(spark, sf_dir):
-    """Methods by the modelled time to come within a hundredth of the exact optimum's error."""
+    """Methods by the modelled time to come within a twentieth of the exact optimum's error."""
     p = problem(spark, sf_dir)
     target = train.ridge_exact(p, 0.01)[1] * 1.05
     history, costs = [], []
