@@ -16,13 +16,14 @@ def batch_id(jid: Column, n_batches: int, seed: int = 0, epoch: int = 0) -> Colu
     return F.pmod(hash_number("batch", seed, epoch, jid), F.lit(n_batches).cast("long")).cast("int")
 
 
-def is_test(jid: Column, share: int = 15) -> Column:
-    return F.pmod(hash_number("split", jid), F.lit(100).cast("long")) < share
+def is_test(jid: Column, share: int = 15, stream: str = "split") -> Column:
+    return F.pmod(hash_number(stream, jid), F.lit(100).cast("long")) < share
 
 
-def split(rowmap: DataFrame, share: int = 15) -> tuple[DataFrame, DataFrame]:
-    """(train, test) rows of the map."""
-    return rowmap.where(~is_test(F.col("jid"), share)), rowmap.where(is_test(F.col("jid"), share))
+def split(rowmap: DataFrame, share: int = 15, stream: str = "split") -> tuple[DataFrame, DataFrame]:
+    """(train, test) rows of the map; another ``stream`` cuts a part of its own, such as one for validation."""
+    held = is_test(F.col("jid"), share, stream)
+    return rowmap.where(~held), rowmap.where(held)
 
 
 def with_batches(rowmap: DataFrame, n_batches: int, seed: int = 0, epoch: int = 0) -> DataFrame:
