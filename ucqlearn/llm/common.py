@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
+import time
+
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -65,6 +68,36 @@ def small_batches(spark: SparkSession) -> None:
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "8m")
 
 
+def _give_back() -> None:
+    """Free memory of Arrow's pool and of the C library goes back to the system, where the C library can do so."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def lean(run, seconds: float = 0.25):
+    """``run`` for mapInArrow, giving free memory back between batches, at most once in ``seconds``, and at the end. Python workers
+    serve task after task, and would else each keep the most that any batch of any task has taken."""
+
+    def eased(batches):
+        last = time.monotonic()
+        for batch in batches:
+            yield batch
+            del batch
+            if time.monotonic() - last > seconds:
+                _give_back()
+                last = time.monotonic()
+
+    def wrapped(batches):
+        try:
+            yield from run(eased(batches))
+        finally:
+            _give_back()
+
+    return wrapped
+
+
 def texts(column: pa.Array | pa.ChunkedArray) -> list[bytes]:
     """UTF-8 bytes of each value; null counts as empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, texts
+from .common import Workspace, lean, texts
 
 # bytes that belong to a word after lower-casing A-Z: digits, a-z and everything beyond ASCII
 _WORD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -104,7 +104,7 @@ def decontaminate(spark, docs: DataFrame, benchmark: DataFrame, size: int = 10,
         some = wordy if parts == 1 else wordy.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == part)
         items = [(r.item_id, normal_words(r.text.encode())) for r in some.toLocalIterator()]
         shared = spark.sparkContext.broadcast(BenchmarkIndex(items, size))
-        found = docs.select(F.col("text").alias("text"), row).mapInArrow(_scanner(shared), _with_row(docs)) if out is None else out.mapInArrow(_rescanner(shared), out.schema)
+        found = docs.select(F.col("text").alias("text"), row).mapInArrow(lean(_scanner(shared)), _with_row(docs)) if out is None else out.mapInArrow(lean(_rescanner(shared)), out.schema)
         out = found if part == parts - 1 else Workspace(spark, "leaks").put(found, "part")
     return out
 

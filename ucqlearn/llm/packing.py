@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import texts
+from .common import lean, texts
 from .rolling import grouped
 
 if sys.byteorder != "little" or array("I").itemsize != 4:
@@ -218,4 +218,4 @@ def pack(docs: DataFrame, path: str | None = None, size: int = 2048, end_id: int
             yield from flush()
 
     row = F.struct(*[F.col(f"`{c}`") for c in rest]).alias("row")
-    return docs.select(F.col("text").alias("text"), row).mapInArrow(run, schema)
+    return docs.select(F.col("text").alias("text"), row).mapInArrow(lean(run), schema)

@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import lean
+
 # fixed values: the base patterns
 ASSIGN = re.compile(r"""((?ai:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
@@ -133,4 +135,4 @@ def scan_secrets(docs: DataFrame, rule: EntropyRule = EntropyRule()) -> DataFram
             yield pa.RecordBatch.from_arrays([batch.column(1), *[pa.array(c, t) for c, (_, t) in zip(out, FIELDS)]], names=["row", *[n for n, _ in FIELDS]])
 
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
-    return docs.select(F.col("text").alias("text"), row).mapInArrow(run, schema)
+    return docs.select(F.col("text").alias("text"), row).mapInArrow(lean(run), schema)

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Workspace, small_batches
+from .common import Workspace, lean, small_batches
 from .linear import SparseRows, fit_logistic, sigmoid
 
 U = np.uint64
@@ -98,7 +98,7 @@ def train_toxicity(spark, docs: DataFrame, labels: DataFrame, most_labelled: int
     n = {r.toxic: r.n for r in sample.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     texts_p, texts_q = n.get(1, 0), n.get(0, 0)
     # one row of sums a bucket, and the buckets that come through the test are bounded by most_grams
-    counts = sample.mapInArrow(_count_grams(spec), "bucket long, p long, q long").groupBy("bucket").agg(F.sum("p").alias("p"), F.sum("q").alias("q")).where(F.col("p") + F.col("q") >= least_texts)
+    counts = sample.mapInArrow(lean(_count_grams(spec)), "bucket long, p long, q long").groupBy("bucket").agg(F.sum("p").alias("p"), F.sum("q").alias("q")).where(F.col("p") + F.col("q") >= least_texts)
     p, q = F.col("p") + smooth, F.col("q") + smooth
     ratio = F.log(p / F.lit(texts_p + 2 * smooth)) - F.log(q / F.lit(texts_q + 2 * smooth))
     error = F.sqrt(1 / p + 1 / q)
@@ -106,7 +106,7 @@ def train_toxicity(spark, docs: DataFrame, labels: DataFrame, most_labelled: int
     buckets, ratios = np.array([k.bucket for k in kept], dtype=np.int64), np.array([k.r for k in kept])
     place = np.full(1 << spec.bits, -1, dtype=np.int32)
     place[buckets] = np.arange(len(kept))
-    rows = sample.mapInArrow(_kept_grams(spec, place), "ids array<int>, toxic int").toArrow().combine_chunks()
+    rows = sample.mapInArrow(lean(_kept_grams(spec, place)), "ids array<int>, toxic int").toArrow().combine_chunks()
     lists, y = rows.column("ids").combine_chunks(), rows.column("toxic").to_numpy().astype(float)
     ids, starts = lists.flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))]).astype(np.int64)
     w, intercept = fit_logistic(SparseRows(ids, starts, ratios), y, len(kept), l2)
@@ -131,4 +131,4 @@ def score_toxicity(spark, docs: DataFrame, model: ToxicityModel) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(scores, pa.float64())], names=["row", "score"])
 
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
-    return docs.select(F.col("text").alias("text"), row).mapInArrow(run, StructType([StructField("row", row_type), StructField("score", DoubleType())]))
+    return docs.select(F.col("text").alias("text"), row).mapInArrow(lean(run), StructType([StructField("row", row_type), StructField("score", DoubleType())]))
