@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from ucqlearn import cost, metrics, privacy
+from ucqlearn import cost, metrics, privacy, queries
 from ucqlearn.functions import columns as fx
 from ucqlearn.functions.losses import LogisticLoss, SoftmaxLoss, SquaredLoss
 from ucqlearn.functions.models import LinearModel, MlpModel
@@ -435,3 +435,9 @@ def test_constant_feature_and_columns(spark):
     x = spark.createDataFrame([(long,)], "x array<double>")
     assert x.select(fx.dot(F.col("x"), long)).first()[0] == x.select(fx.dot(F.col("x"), long, unroll=100)).first()[0] == sum(i * i for i in range(100))
     assert UnionOperator.add({}, (2, 1)).shape == (2, 1) and LinearModel(3, 2).size == 6
+
+
+def test_label_epsilon_reads_orders(spark):
+    rows = queries.QUERIES["label_epsilon"](spark, "/root/testdata/sf0.001").collect()
+    assert sum(r.labels for r in rows) == spark.read.parquet("/root/testdata/sf0.001/orders.parquet").count()
+    assert all(r.most_spent >= r.epsilon for r in rows)
