@@ -441,3 +441,9 @@ def test_label_epsilon_reads_orders(spark):
     rows = queries.QUERIES["label_epsilon"](spark, "/root/testdata/sf0.001").collect()
     assert sum(r.labels for r in rows) == spark.read.parquet("/root/testdata/sf0.001/orders.parquet").count()
     assert all(r.most_spent >= r.epsilon for r in rows)
+
+
+def test_accountant_takes_its_rates_from_orders(spark):
+    units = spark.read.parquet("/root/testdata/sf0.001/orders.parquet").select("o_custkey").distinct().count()
+    rows = queries.QUERIES["privacy_accountant"](spark, "/root/testdata/sf0.001").collect()
+    assert {r.rate for r in rows} == {8 / units, 64 / units}
