@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 from ucqlearn import cost, metrics, privacy, queries
 from ucqlearn.functions import columns as fx
 from ucqlearn.functions.losses import LogisticLoss, SoftmaxLoss, SquaredLoss
-from ucqlearn.functions.models import LinearModel, MlpModel
-from ucqlearn.operators.steps import UnionOperator
+from ucqlearn.functions.models import LinearModel, MlpModel, row_gradient_sums
+from ucqlearn.operators.steps import ClientOperator, JoinOperator, UnionOperator
 from ucqlearn.plans import batches, mapping, rowids, train
 from ucqlearn.plans.ucq import SpecError, TableSpec, UcqSpec
 from ucqlearn.sources import workloads
@@ -447,3 +447,25 @@ def test_accountant_takes_its_rates_from_orders(spark):
     units = spark.read.parquet("/root/testdata/sf0.001/orders.parquet").select("o_custkey").distinct().count()
     rows = queries.QUERIES["privacy_accountant"](spark, "/root/testdata/sf0.001").collect()
     assert {r.rate for r in rows} == {8 / units, 64 / units}
+
+
+def test_rounds_leave_the_lead_where_it_is(spark):
+    p = train.make_problem(*workloads.running_example(spark, SMALL, shards=1))
+    b, join = p.blocks[0], JoinOperator(p)
+    client = ClientOperator(b)
+    scored = join.gather(p.rowmap, {b.name: client.predict(b.model.start())})
+    received = client.receive(join.fold(scored, b.name, [F.col("m0")]))
+    assert "Exchange" not in received._jdf.queryExecution().executedPlan().toString()
+
+
+def test_clipped_linear_sums_as_columns(spark):
+    rng = np.random.default_rng(1)
+    x, g = rng.normal(size=(50, 2)), rng.normal(size=50)
+    df = spark.createDataFrame([(0, x[i].tolist(), float(g[i])) for i in range(50)], "shard int, x array<double>, g0 double")
+    counts = {}
+    got = LinearModel(2).partial_gradient(df, np.zeros((2, 1)), clip=0.7)[0]
+    part = x * g[:, None]
+    want = (part * np.minimum(1, 0.7 / np.linalg.norm(part, axis=1))[:, None]).sum(axis=0)
+    assert np.abs(got[:, 0] - want).max() < 1e-9
+    row_gradient_sums(LinearModel(2), df, np.zeros((2, 1)), 0.7, counts=counts)
+    assert counts == {0: 50}
