@@ -181,3 +181,19 @@ def test_pipeline_stages(spark):
     pieces = corpus_pipeline.run(spark, SF)
     assert {r.doc_id for r in pieces.select("doc_id").distinct().collect()} == {r.doc_id for r in kept.select("doc_id").collect()}
     assert pieces.where(F.length("ids") != 4 * F.col("length")).count() == 0
+
+
+def test_near_copies_by_fingerprint_and_by_similarity(spark, tmp_path):
+    words = [f"w{i}" for i in range(3000)]
+    turned = words[:]
+    for i in range(0, 3000, 20):  # five-word runs mostly differ, three-word fingerprints may not
+        turned[i] = f"x{i}"
+    swapped = words[:40] + ["other"] + words[41:]
+    rows = [(5, " ".join(words)), (3, " ".join(words)), (7, " ".join(swapped)), (9, " ".join(f"z{i}" for i in range(500))), (None, "loose"), (11, " ".join(turned))]
+    spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(str(tmp_path / "d"))
+    docs = spark.read.parquet(str(tmp_path / "d"))
+    kept = {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, SF).collect()}
+    prints = {r.doc_id: r.component_id for r in corpus_pipeline.near_duplicates(spark, docs).collect()}
+    alike = {r.doc_id: r.component_id for r in corpus_pipeline.similar_groups(spark, docs).collect()}
+    assert {None, 3, 9} <= kept and not {5, 7} & kept
+    assert all(prints[d] == alike[d] == d for d in kept - {None})
