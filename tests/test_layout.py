@@ -54,3 +54,14 @@ def test_rounds_leave_the_label_tables_rows_in_their_buckets(spark):
         held.unpersist()
     assert "Exchange hashpartitioning(r_lineitem" not in plan and "Exchange hashpartitioning(rid" not in plan
     assert "SortMergeJoin" not in plan
+
+
+def test_baselines_share_the_slices_of_one_problem(spark):
+    p = queries.problem(spark, SF)
+    made = p.store.made
+    first = train.vfl_sgd(p, epochs=1, eta=0.4, track=False).thetas
+    again = train.vfl_sgd(p, epochs=1, eta=0.4, track=False).thetas
+    assert p.store.made == made + 1
+    assert all((first[n] == again[n]).all() for n in first)
+    half = train.on_rows(p, p.rowmap.where("jid % 2 = 0"))
+    assert train.slices(half).rowmap.count() == half.n < p.n
