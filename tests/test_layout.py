@@ -65,3 +65,29 @@ def test_baselines_share_the_slices_of_one_problem(spark):
     assert all((first[n] == again[n]).all() for n in first)
     half = train.on_rows(p, p.rowmap.where("jid % 2 = 0"))
     assert train.slices(half).rowmap.count() == half.n < p.n
+
+
+def test_the_label_tables_rows_lie_beside_the_map(spark):
+    from dataclasses import replace
+
+    p = queries.problem(spark, SF, shards=2)
+    assert p.own and p.rowmap.count() == p.n
+    apart = replace(p, own=(), rowmap=p.rowmap.drop(*p.own))
+    join, clients = JoinOperator(p), {b.name: ClientOperator(b) for b in p.blocks}
+    scored = join.derivatives(join.gather(p.rowmap, join.predict(p.rowmap, clients, {n: c.model.start() for n, c in clients.items()})))
+    plan = clients["lineitem"].receive(join.fold(scored, "lineitem", [F.col("d0")]))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join") == 2 and "Aggregate" not in plan  # the other two tables' predictions
+    written, write = [], p.store.write
+    p.store.write = lambda name, *a, **k: written.append(name) or write(name, *a, **k)
+    for run in (
+        lambda q: train.rel_sgd(q, epochs=2, eta=0.4),
+        lambda q: train.rel_sgd(q, epochs=1, eta=0.4, batch_size=q.n // 3),
+        lambda q: train.rel_admm(q, epochs=6, rho=0.5, inner_rounds=2),
+        lambda q: train.rel_admm(q, epochs=2, rho=0.5, inner_rounds=2, serve="local"),
+        lambda q: train.rel_admm_v(q, epochs=2, rho=0.5, schedule="sequential"),
+    ):
+        one, two = run(p), run(apart)
+        assert all(abs(a - b).max() < 1e-9 for a, b in zip(one.thetas.values(), two.thetas.values()) if not isinstance(a, dict))
+        assert all(abs(x - y) < 1e-9 for a, b in zip(one.history, two.history) for x, y in zip(a[3:], b[3:]))
+        assert all(abs(x - y) < 1e-9 for x, y in zip(one.residuals, two.residuals)) and one.ledger.rows == two.ledger.rows
+    assert sum(n.startswith("state") for n in written) == 1 + 6 + 2 + 2  # one for six epochs beside the map, one an epoch apart
