@@ -151,3 +151,30 @@ def test_repeated_ids(spark):
     rows = [(1, text("a"))] * 30 + [(1, text("b")), (2, text("a", 38)), (3, text("b", 38)), (4, text("c"))]
     got = similar_groups(spark, spark.createDataFrame(rows, "doc_id long, text string")).collect()
     assert len(got) == len(rows) and {tuple(r) for r in got} == {(1, 1), (2, 1), (3, 1), (4, 4)}
+
+
+def test_crossings_make_no_rows_of_texts_that_share_a_shingle_alone():
+    import numpy as np
+    import pyarrow as pa
+
+    from ucqlearn.llm.similar import BRIEF, SLACK, _crossings, _folded, parities
+
+    r = np.random.default_rng(2)
+    draw = lambda n: np.unique(r.integers(-(1 << 62), 1 << 62, n))
+    sets = [draw(n) for n in (3, 5, 9, 40, 41, 300, 310, 5000) for _ in range(12)]
+    sets += [np.unique(np.concatenate([s[: len(s) - len(s) // 12], draw(len(s) // 12)])) for s in sets]  # likely 0.8 or more
+    want = set()
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            common = len(np.intersect1d(a, b, assume_unique=True))
+            if common >= 0.8 * (len(a) + len(b) - common) - SLACK:
+                want.add((j, i))
+    count = len(sets)
+    columns = [np.full(count, 4), np.zeros(count), np.zeros(count), np.arange(count), np.zeros(count), [len(s) for s in sets], np.arange(count), np.zeros(count)]
+    names = ["key", "p", "q", "comp", "blk", "n", "node", "pos"]
+    batch = pa.RecordBatch.from_arrays([pa.array(np.asarray(c), pa.int64()) if i != 4 else pa.array(np.zeros(count, dtype=np.int32)) for i, c in enumerate(columns)], names=names)
+    brief = batch.append_column("brief", pa.array([_folded(parities(s), BRIEF).tobytes() for s in sets], pa.binary()))
+    found = lambda batches: {(a, b) for out in _crossings(0.8, True)(iter(batches)) for a, b in zip(out.column(0).to_pylist(), out.column(1).to_pylist())}
+    got, plain = found([brief.slice(at, 7) for at in range(0, count, 7)]), found([batch])
+    assert len(want) > 60 and want <= got <= plain
+    assert len(got) < len(want) + len(plain) // 10
