@@ -5,8 +5,10 @@ import time
 from pyspark.sql import functions as F
 
 from ucqlearn import queries
+from ucqlearn.operators import steps
 from ucqlearn.operators.steps import ClientOperator, JoinOperator
 from ucqlearn.plans import train
+from ucqlearn.sources import tables
 from ucqlearn.sources.workloads import line_id
 
 SF = "/root/testdata/sf0.01"
@@ -91,3 +93,18 @@ def test_the_label_tables_rows_lie_beside_the_map(spark):
         assert all(abs(x - y) < 1e-9 for a, b in zip(one.history, two.history) for x, y in zip(a[3:], b[3:]))
         assert all(abs(x - y) < 1e-9 for x, y in zip(one.residuals, two.residuals)) and one.ledger.rows == two.ledger.rows
     assert sum(n.startswith("state") for n in written) == 1 + 6 + 2 + 2  # one for six epochs beside the map, one an epoch apart
+
+
+def test_a_map_with_the_lead_beside_it_is_written_where_it_is(spark, monkeypatch):
+    monkeypatch.setattr(tables, "BUCKET_BYTES", 1 << 18)
+    monkeypatch.setattr(steps, "FILE_ROWS", 20_000)
+    kinds, write = [], tables.ArtifactStore.write
+    monkeypatch.setattr(tables.ArtifactStore, "write", lambda self, name, df, **k: kinds.append(k) or write(self, name, df, **k))
+    p = queries.problem(spark, SF)
+    assert p.buckets > 1 and len(kinds) == 1 and not kinds[0].get("buckets")
+    assert len(p.rowmap.inputFiles()) >= 3 and p.rowmap.count() == p.n
+    monkeypatch.undo()
+    one = queries.problem(spark, SF)
+    for run in (lambda q: train.rel_sgd(q, epochs=2, eta=0.4), lambda q: train.rel_sgd(q, epochs=1, eta=0.4, batch_size=q.n // 3), lambda q: train.rel_admm(q, epochs=5, rho=0.5), lambda q: train.vfl_sgd(q, epochs=1, eta=0.4)):
+        a, b = run(p), run(one)
+        assert all(abs(a.thetas[n] - b.thetas[n]).max() < 1e-9 for n in a.thetas) and a.ledger.rows == b.ledger.rows
