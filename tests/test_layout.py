@@ -1,15 +1,19 @@
 """What keeps training fast on large tables: ids that don't raise errors, and rows that stay in their buckets."""
 
+import math
 import time
 
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from ucqlearn import queries
+from ucqlearn.functions.models import MlpModel, row_gradient_sums
 from ucqlearn.operators import steps
 from ucqlearn.operators.steps import ClientOperator, JoinOperator
 from ucqlearn.plans import train
 from ucqlearn.sources import tables
-from ucqlearn.sources.workloads import line_id
+from ucqlearn.sources.workloads import line_id, ratings
 
 SF = "/root/testdata/sf0.01"
 
@@ -108,3 +112,30 @@ def test_a_map_with_the_lead_beside_it_is_written_where_it_is(spark, monkeypatch
     for run in (lambda q: train.rel_sgd(q, epochs=2, eta=0.4), lambda q: train.rel_sgd(q, epochs=1, eta=0.4, batch_size=q.n // 3), lambda q: train.rel_admm(q, epochs=5, rho=0.5), lambda q: train.vfl_sgd(q, epochs=1, eta=0.4)):
         a, b = run(p), run(one)
         assert all(abs(a.thetas[n] - b.thetas[n]).max() < 1e-9 for n in a.thetas) and a.ledger.rows == b.ledger.rows
+
+
+@pytest.mark.parametrize("activation", ["relu", "tanh"])
+def test_small_nets_are_columns_and_give_what_arrays_give(spark, activation):
+    rng = np.random.default_rng(1)
+    model, x, g = MlpModel(3, 2, 2, activation), rng.normal(size=(40, 3)), rng.normal(size=(40, 2))
+    theta, shard, c = model.start(2), np.arange(40) % 2, np.arange(40) % 3 + 1.0
+    rows = spark.createDataFrame([(i, int(shard[i]), x[i].tolist(), *g[i].tolist(), float(c[i])) for i in range(40)], "rid long, shard int, x array<double>, g0 double, g1 double, c double")
+    predicted = model.predict(rows, theta)
+    assert "MapInArrow" not in predicted._jdf.queryExecution().executedPlan().toString()
+    u = model.forward(theta, x)[2]
+    assert np.allclose([[r.u0, r.u1] for r in predicted.sort("rid").collect()], u)
+    for clip, rho in ((None, 0.0), (None, 0.7), (0.2, 0.0), (0.2, 0.7)):
+        found, counts = {}, {}
+        found = row_gradient_sums(model, rows, theta, clip, rho, counts)
+        for s in (0, 1):
+            at = shard == s
+            assert np.allclose(found[s], model.gradient_sum(theta, x[at], g[at] + rho * c[at, None] * u[at], clip)) and counts[s] == 20
+    missing = spark.createDataFrame([(0, 0, [1.0, None, 2.0])], "rid long, shard int, x array<double>")
+    assert math.isnan(model.predict(missing, theta).first().u0)
+
+
+def test_ratings_label_lines_without_a_join_by_line(spark):
+    line = ratings(spark, SF)[0].table("lineitem")
+    plan = line.df._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join ") == 2 and plan.count("l_quantity#") and "l_rid#" not in "".join(x for x in plan.splitlines() if "Join " in x)
+    assert line.df.count() == line.df.select("l_rid").distinct().count()
