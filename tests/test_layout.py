@@ -114,6 +114,20 @@ def test_a_map_with_the_lead_beside_it_is_written_where_it_is(spark, monkeypatch
         assert all(abs(a.thetas[n] - b.thetas[n]).max() < 1e-9 for n in a.thetas) and a.ledger.rows == b.ledger.rows
 
 
+def test_curves_come_from_the_rounds_own_jobs(spark):
+    p = queries.problem(spark, SF)
+    asked, evaluate = [], train.evaluate
+    train.evaluate = lambda *a: asked.append(a) or evaluate(*a)
+    try:
+        with_curve = train.rel_sgd(p, epochs=3, eta=0.4, tests=p.rowmap.where("jid % 5 = 0"))
+        assert len(asked) == 1 + 3  # the last epoch, and the test rows
+        one_by_one = train.rel_sgd(p, epochs=3, eta=0.4, tests=p.rowmap.where("jid % 5 = 0"), patience=9)
+    finally:
+        train.evaluate = evaluate
+    assert [h[:4] for h in with_curve.history] == [h[:4] for h in one_by_one.history]
+    assert all(abs(x - y) < 1e-9 for a, b in zip(with_curve.history, one_by_one.history) for x, y in zip(a[4:], b[4:]))
+
+
 @pytest.mark.parametrize("activation", ["relu", "tanh"])
 def test_small_nets_are_columns_and_give_what_arrays_give(spark, activation):
     rng = np.random.default_rng(1)
