@@ -153,3 +153,17 @@ def test_ratings_label_lines_without_a_join_by_line(spark):
     plan = line.df._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Join ") == 2 and plan.count("l_quantity#") and "l_rid#" not in "".join(x for x in plan.splitlines() if "Join " in x)
     assert line.df.count() == line.df.select("l_rid").distinct().count()
+
+
+def test_batches_are_written_without_digests_and_draw_what_sql_draws(spark, monkeypatch):
+    import hashlib
+
+    p = queries.problem(spark, SF)
+    seen, write = [], tables.ArtifactStore.write
+    monkeypatch.setattr(tables.ArtifactStore, "write", lambda self, name, df, **k: seen.append(write(self, name, df, **k)) or seen[-1])
+    train.rel_sgd(p, epochs=1, eta=0.4, batch_size=p.n // 3, track=False)
+    assert len(seen) == 1 and "jid" not in seen[0].columns and seen[0].count() == p.n
+    number = lambda *x: int(hashlib.md5("|".join(map(str, x)).encode()).hexdigest()[:15], 16)
+    n_batches = seen[0].agg(F.max("bid")).first()[0] + 1
+    for r in seen[0].select("r_lineitem", "r_part", "r_supplier", "bid").limit(50).collect():
+        assert r.bid == number("batch", 0, 1, number(r.r_lineitem, r.r_part, r.r_supplier)) % n_batches
